@@ -2,15 +2,15 @@
 
 A text is cut at ASCII white space. The tokenizer drops white space and never
 merges across it, so the ids of a text are the ids of its words in order; words
-repeat, so most are found in a cache. Words of plain Latin letters (with one
-closing punctuation mark at most) go straight to the tokenizer's BPE model;
-any other word goes through the whole tokenizer.
+repeat, so most are found in a cache. A text within Latin-1 is lower-cased at
+once, as the tokenizer itself would do, which makes words repeat more. Words of
+letters alone, or with one closing stop or comma, go straight to the
+tokenizer's BPE model; any other goes through all of it.
 """
 
 from __future__ import annotations
 
 import os
-import unicodedata
 import zlib
 from collections.abc import Iterable, Iterator
 
@@ -18,7 +18,7 @@ import numpy as np
 
 END_ID = 1
 WORD_FILE = "word_bpe_49k.json"
-CACHE_WORDS = 150_000
+CACHE_WORDS = 300_000
 SLICE_BYTES = 2_000_000
 
 
@@ -55,56 +55,57 @@ class WordTokenizer:
         self.is_end = np.zeros(self.whole.get_vocab_size() + 1, bool)
         self.is_end[ends] = True
         self.shown = _byte_alphabet()
+        self.marks = {m: np.asarray(self.whole.encode(m.decode(), add_special_tokens=False).ids, np.uint16).tobytes() for m in (b".", b",")}
         self.cache_words = cache_words
         self.young: dict[bytes, bytes] = {}
         self.old: dict[bytes, bytes] = {}
 
-    def _plain(self, word: bytes) -> list[str] | None:
-        """The pieces of a word of Latin letters, or None where the whole tokenizer must decide."""
-        if word.isalpha():
-            return [word.lower().decode()]
-        tail = []
-        if word[-1:] in (b".", b",", b"!", b"?", b";", b":", b")"):
-            tail, word = [word[-1:].decode()], word[:-1]
-            if word.isalpha():
-                return [word.lower().decode(), *tail]
-        if not word or word.isascii():
-            return None
-        text = word.decode()
-        low = text.lower()
-        if max(low) >= "ɐ" or max(text) >= "ɐ" or not low.isalpha() or not unicodedata.is_normalized("NFC", text):
-            return None
-        return [low.encode().decode("latin-1").translate(self.shown), *tail]
+    def _split(self, text: str) -> list[bytes]:
+        """Words; of a Latin-1 text (always NFC, lower-cased the same everywhere) lower-cased."""
+        try:
+            text.encode("latin-1")
+        except UnicodeEncodeError:
+            return text.encode().split()
+        if "<|" in text:  # may name a special token, which is matched before lower-casing
+            return text.encode().split()
+        return text.lower().encode().split()
 
     def _learn(self, words: list[bytes]) -> None:
-        plain, hard, wanted = [], [], {}
+        hard, wanted, closed, shown = [], {}, [], self.shown
         for word in words:
-            pieces = self._plain(word)
-            if pieces is None:
+            mark = word[-1:]
+            stem = word
+            if mark == b"." or mark == b",":
+                stem = word[:-1]
+                closed.append((word, stem, mark))
+            if stem in wanted:
+                continue
+            if stem.isalpha():  # ASCII letters; capitals only come from texts that keep them
+                wanted[stem] = stem.lower().decode()
+            elif stem.isascii() or not (text := stem.decode()).isalpha() or not text.islower() or max(text) > "ÿ":
                 hard.append(word)
+                if stem is not word:
+                    closed.pop()
             else:
-                plain.append((word, pieces))
-                for piece in pieces:
-                    wanted[piece] = None
+                wanted[stem] = stem.decode("latin-1").translate(shown)
         order = list(wanted)
         for at in range(0, len(order), 4096):
-            part = order[at : at + 4096]
+            keys = order[at : at + 4096]
+            part = [wanted[k] for k in keys]
             lines = [" ".join(part[i : i + 64]) for i in range(0, len(part), 64)]
             ids = np.concatenate([np.asarray(e.ids, np.uint16) for e in self.pieces.encode_batch_fast(lines, add_special_tokens=False)])
             stops = np.flatnonzero(self.is_end[ids]) + 1
-            if len(stops) != len(part):  # a piece the model split unlike the cut: ask one by one
-                for piece in part:
-                    wanted[piece] = np.asarray([t.id for t in self.whole.model.tokenize(piece)], np.uint16).tobytes()
+            if len(stops) != len(part):  # a piece the model ends unlike the others: leave these to the whole tokenizer
+                hard += keys
                 continue
-            raw, begin = ids.tobytes(), 0
-            for piece, stop in zip(part, stops.tolist()):
-                wanted[piece] = raw[2 * begin : 2 * stop]
-                begin = stop
-        for word, pieces in plain:
-            self.young[word] = b"".join([wanted[p] for p in pieces])
+            raw = ids.tobytes()
+            stops = (2 * stops).tolist()
+            self.young.update(zip(keys, map(raw.__getitem__, map(slice, [0, *stops[:-1]], stops))))
         if hard:
             for word, e in zip(hard, self.whole.encode_batch([w.decode() for w in hard], add_special_tokens=False)):
                 self.young[word] = np.asarray(e.ids, np.uint16).tobytes()
+        for word, stem, mark in closed:
+            self.young[word] = self.young[stem] + self.marks[mark]
 
     def encode(self, texts: list[str]) -> list[np.ndarray]:
         out, at = [], 0
@@ -118,7 +119,7 @@ class WordTokenizer:
         return out
 
     def _slice(self, texts: list[str]) -> list[np.ndarray]:
-        split = [text.encode("utf-8", "surrogatepass").split() for text in texts]
+        split = [self._split(text) for text in texts]
         if len(self.young) > self.cache_words:
             self.old, self.young = self.young, {}
         missing = set().union(*split).difference(self.young) if split else set()
