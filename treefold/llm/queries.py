@@ -13,10 +13,15 @@ from .exact_dedup import exact_dedup
 from .fingerprints import edited_likeness
 from .line_dedup import dedup_lines
 from .mixing import mix
+from .near_dups import near_duplicates
 from .packing import pack
 from .token_files import round_trip
 
 
+def op1_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return near_duplicates(documents(spark, sf_dir))
+
+
 def op2_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mix(documents(spark, sf_dir)).select("doc_id", "size", "source_size", "target", "taken")
 
@@ -48,6 +53,7 @@ def op10_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
+        "op1_ngram_jaccard_join": op1_ngram_jaccard_join,
         "op2_mixing": op2_mixing,
         "op3_line_dedup": op3_line_dedup,
         "op5_packing": op5_packing,
