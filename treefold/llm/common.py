@@ -77,3 +77,44 @@ def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def labels(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/labels.parquet")
+
+
+def crc_fold(id_column: Column, modulus: int, remainder: int) -> Column:
+    """True where crc32 of the id's decimal text leaves the remainder."""
+    return F.pmod(F.crc32(id_column.cast("string").cast("binary")), F.lit(modulus)) == remainder
+
+
+def labelled_sample(
+    docs: DataFrame,
+    marks: DataFrame,
+    label: str,
+    modulus: int,
+    remainder: int,
+    per_class: int,
+    max_chars: int,
+    id_col: str = "doc_id",
+    text_col: str = "text",
+    seed: int = 11,
+) -> list[tuple[int, str, int]]:
+    """At most per_class labelled rows of each class outside the held-out fold, and at most max_chars of text in all.
+
+    Rows come in the order of a seeded hash of their ids, so the sample is a fair
+    one, the same in every run. These two bounds are what the driver may hold.
+    """
+    usable = marks.where(F.col(label).isin(0, 1) & F.col("doc_id").isNotNull() & ~crc_fold(F.col("doc_id"), modulus, remainder))
+    once = usable.groupBy(F.col("doc_id").cast("long").alias("__s_id")).agg(F.min(label).alias("__s_label"))
+    ordered = once.withColumn("__s_order", F.xxhash64(F.lit(seed), "__s_id"))
+    picked = ordered.where("__s_label = 0").orderBy("__s_order").limit(per_class).unionAll(ordered.where("__s_label = 1").orderBy("__s_order").limit(per_class))
+    slim = docs.select(F.col(id_col).cast("long").alias("__s_id"), text_or_empty(text_col).alias("__s_text"))
+    # at most 2 * per_class rows, so the hint is safe at any size of the corpus
+    found = slim.join(F.broadcast(picked), "__s_id").withColumn("__s_chars", F.length("__s_text"))
+    total, last = 0, None
+    for order, chars in sorted(tuple(r) for r in found.select("__s_order", "__s_chars").collect()):
+        total += chars
+        if total > max_chars:
+            break
+        last = order
+    if last is None:
+        return []
+    rows = found.where(F.col("__s_order") <= last).select("__s_id", "__s_text", "__s_label", "__s_order").distinct().orderBy("__s_order", "__s_text")
+    return [(r[0], r[1], int(r[2])) for r in rows.collect()]
