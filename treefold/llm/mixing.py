@@ -105,8 +105,9 @@ def mix(
     text_col: str = "text",
     source_col: str = "source",
     carry: tuple[str, ...] = (),
+    prefix: str = "",
 ) -> DataFrame:
-    """One row per input row: doc_id, size, source_size, target, taken, draws, then the carried columns.
+    """One row per input row: doc_id, size, source_size, target, taken, draws (all with the prefix), then the carried columns.
 
     size counts words (null text: 0). Sources by code point, null last, take the
     weights in turn; targets share `share` times all words. draws lists what the
@@ -173,7 +174,8 @@ def mix(
     epochs = F.transform(F.sequence(F.lit(0), F.lit(max_repeats - 1)), lambda e: one_epoch(e.cast("long")))
     drawn = lined.withColumn("draws", F.flatten(F.filter(epochs, lambda x: x.isNotNull())))
     taken = F.aggregate("draws", F.lit(0).cast("long"), lambda s, x: s + x["n_words"])
-    return drawn.select("doc_id", "size", "source_size", "target", taken.alias("taken"), "draws", *[F.col(n).alias(c) for c, n in names.items() if c not in ("doc_id", "size", "source_size", "target", "taken", "draws")])
+    own = {"doc_id": F.col("doc_id"), "size": F.col("size"), "source_size": F.col("source_size"), "target": F.col("target"), "taken": taken, "draws": F.col("draws")}
+    return drawn.select(*[c.alias(prefix + n) for n, c in own.items()], *[F.col(n).alias(c) for c, n in names.items()])
 
 
 def mixed_documents(docs: DataFrame, text_col: str = "text", **options) -> DataFrame:
@@ -181,17 +183,15 @@ def mixed_documents(docs: DataFrame, text_col: str = "text", **options) -> DataF
 
     Rows are dealt to shards by the tree and shuffled inside them.
     """
-    carry = tuple(docs.columns)
-    mixed = mix(docs, text_col=text_col, carry=carry, **options)
+    mixed = mix(docs, text_col=text_col, carry=tuple(docs.columns), prefix="__mix_", **options)
     text = F.col(text_col)
-    # carried columns of the contract's own names keep the mix's values; only id and size can clash here
-    drawn = mixed.withColumn("__mix_draw", F.explode("draws"))
-    per_reading = drawn.withColumn("__mix_first", F.col("__mix_draw.first_word") == 0).where("__mix_first")
+    # the first piece of each reading stands for it: pieces of one reading follow each other
+    drawn = mixed.withColumn("__mix_draw", F.explode("__mix_draws")).where("__mix_draw.first_word = 0")
     words_read = F.aggregate(
-        F.filter("draws", lambda d: d["epoch"] == F.col("__mix_draw.epoch")), F.lit(0).cast("long"), lambda s, d: s + d["n_words"]
+        F.filter("__mix_draws", lambda d: d["epoch"] == F.col("__mix_draw.epoch")), F.lit(0).cast("long"), lambda s, d: s + d["n_words"]
     )
     cut = F.array_join(F.slice(F.regexp_extract_all(text, F.lit(_SEPARATED_WORD), 0), 1, words_read.cast("int")), "")
-    out = per_reading.withColumn(text_col, F.when(words_read < F.col("size"), cut).otherwise(text))
-    out = out.withColumn("__mix_shard", F.col("__mix_draw.shard")).withColumn("__mix_order", F.xxhash64(F.lit(7), "doc_id", F.col("__mix_draw.epoch")))
+    out = drawn.withColumn(text_col, F.when(words_read < F.col("__mix_size"), cut).otherwise(text))
+    out = out.withColumn("__mix_shard", F.col("__mix_draw.shard")).withColumn("__mix_order", F.xxhash64(F.lit(7), "__mix_doc_id", F.col("__mix_draw.epoch")))
     out = out.repartition("__mix_shard").sortWithinPartitions("__mix_shard", "__mix_order")
     return out.select(*docs.columns)

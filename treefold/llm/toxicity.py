@@ -6,11 +6,12 @@ documents hold and the other class's sample does not; both dictionaries start
 with the same ordinary text, so that windows of neither kind compress alike. A
 document's windows are compressed with both; how many bytes the toxic
 dictionary saves, over all windows and over the best ones, is calibrated on
-labelled rows into a probability.
+labelled rows into a probability, for classes as frequent as in the sample.
 """
 
 from __future__ import annotations
 
+import math
 from collections import Counter
 
 import numpy as np
@@ -23,10 +24,11 @@ from .scoring import fit_logistic, predicted, score_texts, sigmoid
 MODULUS, REMAINDER = 5, 0
 PER_CLASS = 4000
 MAX_CHARS = 32_000_000
-WINDOW = 96
-BASE_BYTES = 48_000
-DICTIONARY_BYTES = 4096
+WINDOW = 64
+BASE_BYTES = 100_000
+DICTIONARY_BYTES = 2048
 LEAST_DOCUMENTS = 3
+LEAST_SHARE = 0.01
 STRIP = b".,!?;:\"'()"
 
 
@@ -47,7 +49,8 @@ def _word(raw: bytes) -> bytes:
 
 
 def telling_text(mine: list[bytes], other: list[bytes], least: int = LEAST_DOCUMENTS) -> list[bytes]:
-    """Each document's words that `least` documents of its class hold and the other class does not."""
+    """Each document's words that a hundredth of its class's documents hold (three at least) and the other class does not."""
+    least = max(least, math.ceil(LEAST_SHARE * len(mine)))
     seen = {_word(w) for d in other for w in d.split()}
     held = Counter(w for d in mine for w in {_word(x) for x in d.split()})
     out = []
