@@ -127,7 +127,7 @@ def longest_path(unit: bool = False) -> Problem:
 
 def height() -> Problem:
     """Edges on the longest way down. Z: this vertex ends the way, P: the way goes on below."""
-    return Problem("height", ("Z", "P"), {"Z": 0}, (("Z", "P", EDGE), ("P", "P", EDGE), ("Z", "Z", 0), ("P", "Z", 0)), (("Z", "Z", "Z"), ("Z", "P", "P"), ("P", "Z", "P")), ("Z", "P"), unit=True)
+    return Problem("height", ("Z", "P"), {"Z": 0}, (("Z", "P", EDGE), ("P", "P", EDGE), ("Z", "Z", 0)), (("Z", "Z", "Z"), ("Z", "P", "P"), ("P", "Z", "P")), ("Z", "P"), unit=True)
 
 
 def subtree_sum(unit: bool = False) -> Problem:

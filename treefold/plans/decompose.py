@@ -87,7 +87,8 @@ def contract_arrays(node_id: np.ndarray, parent: np.ndarray, size: np.ndarray, l
             chosen[live] |= kids[live] == 2
         if rules.below_completed:
             chosen[live] |= (above >= 0) & done[np.maximum(above, 0)]
-        key = _mix(node_id[live].astype(np.uint64) ^ _mix(np.uint64(1 + turn) * np.uint64(0x9E3779B97F4A7C15) + np.uint64(seed % (1 << 32))))
+        salt = _mix(np.array([((1 + turn) * 0x9E3779B97F4A7C15 + seed) % (1 << 64)], np.uint64))
+        key = _mix(node_id[live].astype(np.uint64) ^ salt)
         if rules.coin:
             chosen[live] |= (kids[live] == 1) & ((key >> np.uint64(11)).astype(np.float64) / (1 << 53) < rules.p)
         # without the rule, walks pass completed components, and pieces need not be connected
