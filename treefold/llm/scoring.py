@@ -47,7 +47,8 @@ def score_texts(docs: DataFrame, build: Callable[[], Callable[[list[str]], np.nd
             for begin in range(0, batch.num_rows, 1000):
                 part = batch.slice(begin, 1000)
                 scores = scorer([t or "" for t in part.column(at).to_pylist()])
-                yield pa.RecordBatch.from_arrays([*part.columns, pa.array(np.asarray(scores, np.float64))], [*names, score_col])
+                # rounded, so that a score does not depend on which rows were scored together
+                yield pa.RecordBatch.from_arrays([*part.columns, pa.array(np.round(np.asarray(scores, np.float64), 9))], [*names, score_col])
 
     from pyspark.sql.types import DoubleType, StructField, StructType
 
