@@ -36,7 +36,7 @@ TOLERANCE = 1e-4
 BUCKET_BLOCK = 4096
 BLOCK_CLASSES = 512
 BLOCK_SHINGLES = 2_000_000
-BROADCAST_ROWS = 1_000_000
+BROADCAST_ROWS = 100_000
 _P = np.uint64(0x9E3779B97F4A7C15)
 
 
