@@ -123,14 +123,15 @@ class QualityModel:
         return out
 
     def _learn_contexts(self, texts: list[str]) -> None:
-        split = [t.encode("utf-8", "replace").split() for t in texts]
         counted = Counter()
-        for words in split:
-            counted.update(words)
+        for t in texts:
+            counted.update(t.encode("utf-8", "replace").split())
         kept = [w for w, c in counted.most_common(MOST_WORDS) if c >= LEAST_COUNT]
+        del counted
         self.context = {w: i for i, w in enumerate(kept)}
         sums = np.zeros((len(kept) + 1, DIMENSIONS), np.float32)
-        for words in split:
+        for t in texts:  # split again: all words of the sample at once would take far more memory
+            words = t.encode("utf-8", "replace").split()
             if len(words) < 2:
                 continue
             own = list(dict.fromkeys(words))
@@ -171,6 +172,7 @@ class QualityModel:
                     v[k] = 0.999 * v[k] + 0.001 * g * g
                     p[k] = p[k] - 3e-3 * (m[k] / (1 - 0.9**step)) / (np.sqrt(v[k] / (1 - 0.999**step)) + 1e-8)
         self.layers = (mean, scale, *p)
+        del x
         logits, truth = self.logits([t for _, t, _ in held]), np.array([v for *_, v in held], float)
         grid = np.geomspace(0.25, 8, 60)
         losses = [np.mean(np.logaddexp(0, -np.where(truth > 0, logits, -logits) / t)) for t in grid]
@@ -181,6 +183,10 @@ class QualityModel:
         mean, scale, w1, b1, w2, b2 = self.layers
         return np.tanh(((self.pooled(texts) - mean) / scale) @ w1 + b1) @ w2 + b2[0]
 
+    def release(self) -> None:
+        """Frees the word cache, which a reused worker would otherwise keep."""
+        self._clear()
+
     def score(self, texts: list[str]) -> np.ndarray:
         if self.layers is None:
             return np.full(len(texts), 0.5)

@@ -49,6 +49,7 @@ def score_texts(docs: DataFrame, build: Callable[[], Callable[[list[str]], np.nd
                 scores = scorer([t or "" for t in part.column(at).to_pylist()])
                 # rounded, so that a score does not depend on which rows were scored together
                 yield pa.RecordBatch.from_arrays([*part.columns, pa.array(np.round(np.asarray(scores, np.float64), 9))], [*names, score_col])
+        getattr(getattr(scorer, "__self__", None), "release", lambda: None)()
 
     from pyspark.sql.types import DoubleType, StructField, StructType
 
