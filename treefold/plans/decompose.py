@@ -230,7 +230,7 @@ def positions(tree: np.ndarray, node: np.ndarray, above: np.ndarray) -> np.ndarr
     return np.where(known & (key[at] == look), at, -1)
 
 
-def decompose(bt: DataFrame, m: int, seed: int = 0, rules: Rules = Rules(), local_rows: int = 500_000, whole_trees: bool = True) -> Decomposition:
+def decompose(bt: DataFrame, m: int, seed: int = 0, rules: Rules = Rules(), local_rows: int = 2_000_000, whole_trees: bool = True) -> Decomposition:
     """Pieces of a binary forest: ASSIGN (vertex -> component) and COMP (the contracted tree).
 
     local_rows: component tables of at most so many rows are finished in one task; 0
