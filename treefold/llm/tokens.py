@@ -4,13 +4,15 @@ A text is cut at ASCII white space. The tokenizer drops white space and never
 merges across it, so the ids of a text are the ids of its words in order; words
 repeat, so most are found in a cache. A text within Latin-1 is lower-cased at
 once, as the tokenizer itself would do, which makes words repeat more. Words of
-letters alone, or with one closing stop or comma, go straight to the
-tokenizer's BPE model; any other goes through all of it.
+letters alone, or with one closing stop or comma, and printable ASCII words cut
+as the tokenizer would, go straight to its BPE model; any other goes through
+all of it.
 """
 
 from __future__ import annotations
 
 import os
+import re
 import zlib
 from collections.abc import Iterable, Iterator
 
@@ -20,6 +22,8 @@ END_ID = 1
 WORD_FILE = "word_bpe_49k.json"
 CACHE_WORDS = 300_000
 SLICE_BYTES = 2_000_000
+#: The tokenizer's own cut of a word, for lower-case printable ASCII.
+_ASCII_PIECES = re.compile(rb"'s|'t|'re|'ve|'m|'ll|'d|[a-z]+|[0-9]|[^a-z0-9]+")
 
 
 def default_tokenizer_path() -> str:
@@ -71,21 +75,28 @@ class WordTokenizer:
         return text.lower().encode().split()
 
     def _learn(self, words: list[bytes]) -> None:
-        hard, wanted, closed, shown = [], {}, [], self.shown
+        hard, wanted, closed, pieced, shown = [], {}, [], [], self.shown
         for word in words:
             mark = word[-1:]
             stem = word
             if mark == b"." or mark == b",":
                 stem = word[:-1]
                 closed.append((word, stem, mark))
-            if stem in wanted:
+            if stem in wanted and (stem[:1].isalpha() or stem[0] > 127):  # letters: a closing mark is a piece of its own
                 continue
             if stem.isalpha():  # ASCII letters; capitals only come from texts that keep them
                 wanted[stem] = stem.lower().decode()
             elif stem.isascii() or not (text := stem.decode()).isalpha() or not text.islower() or max(text) > "ÿ":
-                hard.append(word)
                 if stem is not word:
                     closed.pop()
+                if word.isascii() and min(word) > 32 and max(word) < 127 and b"<|" not in word:
+                    parts = _ASCII_PIECES.findall(word.lower())
+                    pieced.append((word, parts))
+                    for part in parts:
+                        if part not in wanted:
+                            wanted[part] = part.decode()
+                else:
+                    hard.append(word)
             else:
                 wanted[stem] = stem.decode("latin-1").translate(shown)
         order = list(wanted)
@@ -104,6 +115,8 @@ class WordTokenizer:
         if hard:
             for word, e in zip(hard, self.whole.encode_batch([w.decode() for w in hard], add_special_tokens=False)):
                 self.young[word] = np.asarray(e.ids, np.uint16).tobytes()
+        for word, parts in pieced:
+            self.young[word] = b"".join([self.young[part] for part in parts])
         for word, stem, mark in closed:
             self.young[word] = self.young[stem] + self.marks[mark]
 
