@@ -1,6 +1,6 @@
 """I-Match document fingerprints, in DataFrame operations only.
 
-A first pass counts in how many documents each term stands. The lexicon keeps
+A first pass counts in how many distinct texts each term stands. The lexicon keeps
 the terms inside a band of inverse document frequency, so neither words that
 all documents share nor words of one document decide. A document's distinct
 lexicon terms are sorted, and hashed once for each of several randomised
@@ -34,22 +34,41 @@ def distinct_terms(text: Column) -> Column:
     return F.transform(F.array_distinct(F.array_remove(F.split(F.lower(text), _NOT_TERM), "")), lambda w: F.xxhash64(w))
 
 
-def lexicon_bitmap(docs: DataFrame, text_col: str = "text", min_share: float = MIN_SHARE, max_share: float = MAX_SHARE) -> DataFrame:
-    """One row, one column `bits`: the slots of all terms that stand in at least 2 and min_share..max_share of all documents."""
-    spark = docs.sparkSession
-    total = docs.count()
-    low, high = max(2, int(min_share * total)), max(2, int(max_share * total))
-    counted = docs.select(F.explode(distinct_terms(text_or_empty(text_col))).alias("h")).groupBy("h").agg(F.count(F.lit(1)).alias("df"))
+def _bitmap(hashes: DataFrame, name: str) -> DataFrame:
+    """One row, one column `bits`: the slots of all hashes in column h."""
     slot = F.col("h").bitwiseAND(F.lit((1 << SLOT_BITS) - 1))
     words = (
-        counted.where(F.col("df").between(low, high))
-        .select(F.shiftright(slot, 6).alias("at"), slot.bitwiseAND(F.lit(63)).alias("bit"))
+        hashes.select(F.shiftright(slot, 6).alias("at"), slot.bitwiseAND(F.lit(63)).alias("bit"))
         .groupBy("at")
         .agg(F.bit_or(F.expr("shiftleft(1L, cast(bit as int))")).alias("bits"))
     )
-    every = spark.range(1 << (SLOT_BITS - 6)).select(F.col("id").alias("at"))
+    every = hashes.sparkSession.range(1 << (SLOT_BITS - 6)).select(F.col("id").alias("at"))
     filled = every.join(words, "at", "left").select("at", F.coalesce("bits", F.lit(0).cast("long")).alias("bits"))
-    return materialise(filled.agg(F.transform(F.array_sort(F.collect_list(F.struct("at", "bits"))), lambda x: x["bits"]).alias("bits")), "lexicon")
+    return materialise(filled.agg(F.transform(F.array_sort(F.collect_list(F.struct("at", "bits"))), lambda x: x["bits"]).alias("bits")), name)
+
+
+def _in_bitmap(bits: Column, h: Column) -> Column:
+    word = F.get(bits, F.shiftright(h.bitwiseAND(F.lit((1 << SLOT_BITS) - 1)), 6).cast("int"))
+    return F.getbit(word, h.bitwiseAND(F.lit(63)).cast("int")) == 1
+
+
+def lexicon_bitmap(docs: DataFrame, text_col: str = "text", min_share: float = MIN_SHARE, max_share: float = MAX_SHARE) -> DataFrame:
+    """One row, one column `bits`: the slots of all terms that stand in at least 2 and min_share..max_share of all distinct texts.
+
+    Exact copies count as one text, so a text that many rows hold keeps its terms.
+    Only rows whose key may be a repeated one (a bitmap tells) are grouped by key;
+    all others are counted where they lie.
+    """
+    text = text_or_empty(text_col)
+    keyed = docs.select(text.alias("text"), F.xxhash64(text).alias("h"), F.xxhash64(F.lit(1), text).alias("h_two"))
+    copies = materialise(keyed.groupBy("h", "h_two").agg(F.count(F.lit(1)).alias("n")), "text-copies")
+    total = copies.count()
+    low, high = max(2, int(min_share * total)), max(2, int(max_share * total))
+    marked = keyed.withColumn("fp_copied", _bitmap(copies.where("n > 1"), "copied-texts").scalar())
+    copied = _in_bitmap(F.col("fp_copied"), F.col("h"))
+    once = marked.where(~copied).select("text").unionAll(marked.where(copied).groupBy("h", "h_two").agg(F.first("text").alias("text")).select("text"))
+    counted = once.select(F.explode(distinct_terms(F.col("text"))).alias("h")).groupBy("h").agg(F.count(F.lit(1)).alias("df"))
+    return _bitmap(counted.where(F.col("df").between(low, high)), "lexicon")
 
 
 def _short(value: Column) -> Column:
@@ -77,12 +96,8 @@ def _level(sorted_terms: Column, first: int, width: int) -> Column:
 def subset_hashes(text: Column, bits: Column) -> Column:
     """65 ints: one for each lexicon subset (0: no term in it), last the whole lexicon's (all terms', then the text's, where it has none)."""
 
-    def in_band(h):
-        word = F.get(bits, F.shiftright(h.bitwiseAND(F.lit((1 << SLOT_BITS) - 1)), 6).cast("int"))
-        return F.getbit(word, h.bitwiseAND(F.lit(63)).cast("int")) == 1
-
     def of_terms(terms, raw):
-        kept = F.filter(terms, in_band)
+        kept = F.filter(terms, lambda h: _in_bitmap(bits, h))
 
         def of_lexicon(sorted_terms):
             whole = F.when(F.size(sorted_terms) > 0, _short(F.xxhash64(sorted_terms))).otherwise(_short(F.xxhash64(F.array_sort(terms), raw)))
