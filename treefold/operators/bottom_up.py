@@ -1,7 +1,8 @@
 """Problems for which only the plain bottom-up form is built: one tree in one task.
 
-Right for any tree; no bound on rounds is claimed. Trees above max_vertices are
-refused, as the tables grow with the square of the tree.
+Right for any tree; no bound on rounds is claimed. k-median, facility location and
+least diameter refuse trees above MAX_VERTICES, as they hold tables that grow with
+the square of the tree; the others take trees of any size that one task can hold.
 """
 
 from __future__ import annotations
@@ -44,9 +45,9 @@ def distances(parent: np.ndarray, edge_w: np.ndarray) -> np.ndarray:
     return d
 
 
-def _per_tree(tree: DataFrame, name: str, param: int | None, solve: Callable[[np.ndarray, np.ndarray, np.ndarray], int | None]) -> DataFrame:
+def _per_tree(tree: DataFrame, name: str, param: int | None, solve: Callable[[np.ndarray, np.ndarray, np.ndarray], int | None], most: int | None = None) -> DataFrame:
     def run(table: pa.Table) -> pa.Table:
-        if table.num_rows > MAX_VERTICES:
+        if most is not None and table.num_rows > most:
             raise ValueError(f"a tree of {table.num_rows} vertices is above the limit of the bottom-up form")
         trees, _, parent, node_w, edge_w = tree_arrays(table)
         return pa.Table.from_batches([_answer_batch([int(trees[0])], name, [solve(parent, node_w, edge_w)], [param])])
@@ -84,44 +85,44 @@ def k_spanning_sequential(tree: DataFrame, k: int, sense: str = "min") -> DataFr
     return _per_tree(tree, problem.name, k, solve)
 
 
-def centres_needed(parent: np.ndarray, edge_w: np.ndarray, r: int, order: list[int]) -> int:
+def centres_needed(parent: list[int], edge_w: list[int], r: int, order: list[int]) -> int:
     """Fewest centres so that every vertex has one within distance r: a centre goes as high as the farthest vertex below allows."""
     n = len(parent)
-    far = np.full(n, -1, np.int64)  # farthest unserved vertex below, -1: none
-    near = np.full(n, INF, np.int64)  # nearest centre below
+    far = [-1] * n  # farthest unserved vertex below, -1: none
+    near = [int(INF)] * n  # nearest centre below
     placed = 0
     for v in order:
-        if near[v] > r and far[v] < 0:
-            far[v] = 0
-        if far[v] >= 0 and near[v] + far[v] <= r:
-            far[v] = -1
-        p = parent[v]
-        if far[v] >= 0 and (p < 0 or far[v] + edge_w[v] > r):
+        f, c, p, w = far[v], near[v], parent[v], edge_w[v]
+        if c > r and f < 0:
+            f = 0
+        if f >= 0 and c + f <= r:
+            f = -1
+        if f >= 0 and (p < 0 or f + w > r):
             placed += 1
-            near[v], far[v] = 0, -1
+            c, f = 0, -1
         if p >= 0:
-            if far[v] >= 0:
-                far[p] = max(far[p], far[v] + edge_w[v])
-            near[p] = min(near[p], near[v] + edge_w[v])
+            if f >= 0:
+                far[p] = max(far[p], f + w)
+            near[p] = min(near[p], c + w)
     return placed
 
 
 def k_center(tree: DataFrame, k: int) -> DataFrame:
-    """Least radius within which k vertices serve all: binary search over the distances of the tree."""
+    """Least radius within which k vertices serve all: weights are whole numbers, so a binary search over radii finds it."""
 
     def solve(parent, node_w, edge_w):
-        order = _order(parent)
-        radii = np.unique(distances(parent, edge_w))
-        low, high = 0, len(radii) - 1
         if k < 1:
             return None
+        order = _order(parent)
+        up, weight = parent.tolist(), edge_w.tolist()
+        low, high = 0, sum(w for w, p in zip(weight, up) if p >= 0)
         while low < high:
             middle = (low + high) // 2
-            if centres_needed(parent, edge_w, int(radii[middle]), order) <= k:
+            if centres_needed(up, weight, middle, order) <= k:
                 high = middle
             else:
                 low = middle + 1
-        return int(radii[low])
+        return low
 
     return _per_tree(tree, "k_center", k, solve)
 
@@ -147,7 +148,7 @@ def facility_location(tree: DataFrame) -> DataFrame:
             else:
                 return int(cost[v].min())
 
-    return _per_tree(tree, "facility_location", None, solve)
+    return _per_tree(tree, "facility_location", None, solve, MAX_VERTICES)
 
 
 def k_median(tree: DataFrame, k: int) -> DataFrame:
@@ -178,7 +179,7 @@ def k_median(tree: DataFrame, k: int) -> DataFrame:
             cost[p] = np.minimum(out, INF)
             inside[p] |= inside[v]
 
-    return _per_tree(tree, "k_median", k, solve)
+    return _per_tree(tree, "k_median", k, solve, MAX_VERTICES)
 
 
 def minimum_diameter(tree: DataFrame, k: int) -> DataFrame:
@@ -203,7 +204,7 @@ def minimum_diameter(tree: DataFrame, k: int) -> DataFrame:
                 best = int(good.min()) if best is None else min(best, int(good.min()))
         return best
 
-    return _per_tree(tree, "minimum_diameter", k, solve)
+    return _per_tree(tree, "minimum_diameter", k, solve, MAX_VERTICES)
 
 
 def k_partition(tree: DataFrame, cap: int) -> DataFrame:

@@ -27,6 +27,8 @@ KINDS = ("chain_user", "chain_all", "heap", "random", "catalog", "star", "thread
 SMALL_STATE = ("mwm", "mcm", "mvc", "mis", "mds", "lpath")
 FOLDS = ("height", "subtree_sum", "subtree_size")
 MACHINES = 8
+#: Pieces for tables that grow with the subtree on whole tables: a piece's own table is quadratic in it.
+WHOLE_MACHINES = 32
 
 _ready: dict[tuple[str, str, str], Prepared] = {}
 
@@ -221,6 +223,31 @@ def _method_queries() -> dict[str, tuple[Query, str | None]]:
     )
     q["kpart_chain255"] = (lambda spark, d: _value(bottom_up.k_partition(_small(spark, d, "chain_all", n), 10)), f"SELECT 0::BIGINT AS tree_id, {-(-n // 10)}::BIGINT AS value")
     q["kcenter_mst"] = (lambda spark, d: _value(bottom_up.k_center(trees.mst(spark, d, 255), 3)), None)
+    # ---- the same on whole tables; bisection has no SQL, as its tables are quadratic ----
+    for kind in ("chain_all", "heap"):
+        q[f"bisect_{kind}"] = (lambda spark, d, kind=kind: _value(linear.bisection(trees.tree(spark, d, kind), WHOLE_MACHINES)), None)
+        q[f"bisect_sequential_{kind}"] = (lambda spark, d, kind=kind: _value(bottom_up.bisection_sequential(trees.tree(spark, d, kind))), None)
+        q[f"bisect_grid_{kind}"] = (lambda spark, d, kind=kind: _value(linear.bisection(trees.tree(spark, d, kind), WHOLE_MACHINES, local_elements=0)), None)
+    q["bisect_profile_chain_all"] = (lambda spark, d: linear.solve_vectors(trees.chain_all(spark, d), linear.BISECTION, WHOLE_MACHINES).select("idx", "value"), None)
+    for finish in linear.FINISHES[1:]:
+        q[f"bisect_{finish}_chain_all"] = (lambda spark, d, finish=finish: _value(linear.bisection(trees.chain_all(spark, d), WHOLE_MACHINES, finish=finish)), None)
+    for k in (1, 2, 5, 1000):
+        window = f"SELECT sum(edge_w) OVER (ORDER BY node_id ROWS BETWEEN {max(0, k - 2)} PRECEDING AND CURRENT ROW) AS s, node_id FROM tree"
+        for sense in ("min", "max"):
+            inner = f"SELECT {sense}(s)::BIGINT AS value FROM ({window}) WHERE node_id >= {k - 1}" if k > 1 else "SELECT 0::BIGINT AS value"
+            q[f"k{sense}_chain_all_k{k}"] = (
+                lambda spark, d, k=k, sense=sense: _value(linear.k_spanning(trees.chain_all(spark, d), k, sense, WHOLE_MACHINES)),
+                f"WITH {oracles.levels('chain_all')} SELECT 0::BIGINT AS tree_id, value FROM ({inner})",
+            )
+    q["kmin_heap"] = (lambda spark, d: _value(linear.k_spanning(trees.heap(spark, d), 5, "min", WHOLE_MACHINES)), None)
+    q["kmin_sequential_heap"] = (lambda spark, d: _value(bottom_up.k_spanning_sequential(trees.heap(spark, d), 5)), None)
+    q["kcenter_heap"] = (lambda spark, d: _value(bottom_up.k_center(trees.heap(spark, d), 2)), None)
+    q["kcenter_mst_all"] = (lambda spark, d: _value(bottom_up.k_center(trees.mst(spark, d), 3)), None)
+    q["kpart_chain_all"] = (lambda spark, d: _value(bottom_up.k_partition(trees.chain_all(spark, d), 10)), "SELECT 0::BIGINT AS tree_id, ceil(count(*) / 10)::BIGINT AS value FROM events")
+    q["dec_leaf_identity_heap_all"] = (
+        lambda spark, d: spark.createDataFrame([(measures.leaf_identity(trees.heap(spark, d), "node_id", "parent_id"),)], "wrong_trees long"),
+        "SELECT 0::BIGINT AS wrong_trees",
+    )
     # ---- schedule ----
     q["schedule_rows_random"] = (lambda spark, d: measures.schedule_rows(schedule.build(ready(spark, d, "random").dec.comp)), None)
     # ---- streaming: the online chain problem gives the batch answer ----
