@@ -103,6 +103,11 @@ def op_full_children(spark, d):
     return c.join(s, F.col("c_custkey") == F.col("s_suppkey"), "full").select("c_custkey", "s_suppkey")
 
 
+@_op("SELECT c_custkey, s_suppkey FROM customer FULL JOIN supplier ON c_custkey = s_suppkey")
+def op_full_children_all(spark, d):
+    return load(spark, d, "customer").join(load(spark, d, "supplier"), F.col("c_custkey") == F.col("s_suppkey"), "full").select("c_custkey", "s_suppkey")
+
+
 @_op("SELECT c_custkey FROM customer WHERE EXISTS (SELECT 1 FROM orders WHERE o_custkey = c_custkey)")
 def op_internal_nodes(spark, d):
     return load(spark, d, "customer").join(load(spark, d, "orders"), F.col("o_custkey") == F.col("c_custkey"), "left_semi").select("c_custkey")
@@ -160,6 +165,20 @@ def op_nested_interval_ancestor(spark, d):
     return outer.join(inner, inside).groupBy(F.col("o.id").alias("ancestor")).agg(F.count(F.lit(1)).alias("below"))
 
 
+@_op(
+    """WITH RECURSIVE t AS (SELECT event_id AS id, CASE WHEN event_id > 0 THEN (event_id + 1) // 2 - 1 END AS p FROM events),
+        anc AS (SELECT id, p AS a FROM t WHERE p IS NOT NULL UNION ALL SELECT anc.id, t.p FROM anc JOIN t ON t.id = anc.a WHERE t.p IS NOT NULL)
+        SELECT a AS ancestor, count(*) AS below FROM anc GROUP BY a"""
+)
+def op_heap_ancestors_all(spark, d):
+    """Ancestors in the heap of all events: a vertex's are its place (from 1) shifted right, so nothing is joined."""
+    place = load(spark, d, "events").select((F.col("event_id") + 1).alias("h")).where("h > 1")
+    # bin() has as many digits as the place has levels above and with it
+    shifts = F.sequence(F.lit(1), F.length(F.bin("h")) - 1)
+    above = place.select(F.explode(F.transform(shifts, lambda i: F.call_function("shiftright", F.col("h"), i) - 1)).alias("ancestor"))
+    return above.groupBy("ancestor").agg(F.count(F.lit(1)).alias("below"))
+
+
 @_op(
     """SELECT event_id, last_value(v IGNORE NULLS) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS view_id
        FROM (SELECT *, CASE WHEN event_type = 'view' THEN event_id END AS v FROM events) QUALIFY event_type = 'purchase'"""
@@ -310,6 +329,12 @@ def op_sort_nulls(spark, d):
     return load(spark, d, "events").select("event_id", p.alias("p")).orderBy(F.col("p").asc_nulls_first(), "event_id").limit(20)
 
 
+@_op("SELECT event_id, lag(event_id) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS p FROM events ORDER BY p NULLS FIRST, event_id")
+def op_sort_nulls_all(spark, d):
+    p = F.lag("event_id").over(Window.partitionBy("user_id").orderBy("ts", "event_id"))
+    return load(spark, d, "events").select("event_id", p.alias("p")).orderBy(F.col("p").asc_nulls_first(), "event_id")
+
+
 @_op("SELECT c_nationkey AS k FROM customer UNION SELECT s_nationkey FROM supplier")
 def op_union_levels(spark, d):
     return load(spark, d, "customer").select(F.col("c_nationkey").alias("k")).union(load(spark, d, "supplier").select("s_nationkey")).distinct()
