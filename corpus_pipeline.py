@@ -10,14 +10,15 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from treefold.llm.common import documents, labels, materialise
+from treefold.llm.common import documents, labels, materialise, text_or_empty
 from treefold.llm.line_dedup import dedup_lines
 from treefold.llm.mixing import mixed_documents
-from treefold.llm.near_dups import near_duplicates
+from treefold.llm.near_dups import near_groups
 from treefold.llm.packing import pack
 from treefold.llm.quality import with_quality
 
 SCORE = "__quality_score"
+KEY = "__text_key"
 
 
 def _sized(docs: DataFrame) -> DataFrame:
@@ -37,9 +38,22 @@ def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def ngram_jaccard_join(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near duplicates stays: the one with the least id."""
-    dropped = near_duplicates(docs).where("NOT kept").select("doc_id")
-    return docs.join(dropped, "doc_id", "left_anti").select(*docs.columns)
+    """One row of each group of near duplicates stays: the one with the least id (then text hash, then other columns).
+
+    Rows are told apart by id and text, as an id may be repeated with other texts.
+    Rows without an id, and texts without words, are in no group and stay.
+    """
+    groups = materialise(near_groups(docs).where("NOT stays OR copies").select("doc_id", "text_key", "stays"), "near-groups")
+    keyed = docs.withColumn(KEY, F.xxhash64(text_or_empty("text")))
+    dropped = groups.where("NOT stays").select("doc_id", F.col("text_key").alias(KEY)).distinct()
+    left = keyed.join(dropped, ["doc_id", KEY], "left_anti")
+    # what stays may itself be repeated, row for row
+    repeated = groups.where("stays").groupBy("doc_id", F.col("text_key").alias(KEY)).count().where("count > 1").select("doc_id", KEY)
+    if not repeated.limit(1).count():
+        return left.select(*docs.columns)
+    others = [c for c in docs.columns if c != "doc_id"]
+    single = left.join(repeated, ["doc_id", KEY], "left_semi").groupBy("doc_id", KEY).agg(F.min(F.struct(*others)).alias("row"))
+    return left.join(repeated, ["doc_id", KEY], "left_anti").select(*docs.columns).unionByName(single.select("doc_id", "row.*"))
 
 
 def mixing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -376,8 +376,13 @@ def _verify(hashes: int, threshold: float, rules):
     return run
 
 
-def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", threshold: float = THRESHOLD, hashes: int = HASHES, band_rows: int = BAND_ROWS, tolerance: float = TOLERANCE, bucket_block: int = BUCKET_BLOCK, block_classes: int = BLOCK_CLASSES, block_shingles: int = BLOCK_SHINGLES) -> DataFrame:
-    """One row per input row: doc_id, class_id, n_links, kept.
+def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
+    """One row per input row: doc_id, class_id, n_links, kept, as near_groups() gives them."""
+    return near_groups(docs, id_col, text_col, **options).select("doc_id", "class_id", "n_links", "kept")
+
+
+def near_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", threshold: float = THRESHOLD, hashes: int = HASHES, band_rows: int = BAND_ROWS, tolerance: float = TOLERANCE, bucket_block: int = BUCKET_BLOCK, block_classes: int = BLOCK_CLASSES, block_shingles: int = BLOCK_SHINGLES) -> DataFrame:
+    """One row per input row: doc_id, text_key, class_id, n_links, kept, stays, copies.
 
     Two documents are linked when the Jaccard similarity of their sets of word
     n-grams is at least the threshold. n_links counts the other rows a document is
@@ -387,6 +392,10 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     null id stay, with a null class and no links. Rows that repeat an id and its text
     count as copies and share their decision; an id repeated with other texts keeps
     each text's own class. An empty table gives no rows.
+
+    text_key is the xxhash64 of the text (a null one is empty). stays marks one id and
+    text of each connected group, the least, and every row that is in no group; copies
+    says whether further rows of the group may repeat that id and text.
     """
     spark = docs.sparkSession
     prepare(spark)
@@ -419,9 +428,18 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     )
     links = verified.groupBy("class_id").agg(F.sum("links").alias("links"))
     final = components(verified.where("partner IS NOT NULL").select(F.col("class_id").alias("a"), F.col("partner").alias("b"))).select(F.col("id").alias("class_id"), "root")
-    rooted = classes.select("class_id", "first_id", "set_key", "members").join(links, "class_id", "left").join(final, "class_id", "left").withColumn("root", F.coalesce("root", "class_id"))
-    least = rooted.groupBy("root").agg(F.min("first_id").alias("label"))
-    named = rooted.join(least, "root").select("set_key", F.col("label").alias("root"), (F.coalesce("links", F.lit(0)) + F.col("members") - 1).alias("n"))
+    rooted = classes.select("class_id", "first_id", "first_key", "set_key", "members").join(links, "class_id", "left").join(final, "class_id", "left").withColumn("root", F.coalesce("root", "class_id"))
+    least = rooted.groupBy("root").agg(F.min(F.struct("first_id", "first_key")).alias("head"))
+    named = rooted.join(least, "root").select("set_key", F.col("head.first_id").alias("root"), F.col("head.first_key").alias("head_key"), "members", (F.coalesce("links", F.lit(0)) + F.col("members") - 1).alias("n"))
     out = signed.join(named, "set_key", "left")
     class_id = F.coalesce("root", "doc_id")
-    return out.select("doc_id", F.when(F.col("doc_id").isNotNull(), class_id).alias("class_id"), F.when(F.col("doc_id").isNull(), F.lit(0)).otherwise(F.coalesce("n", F.lit(0))).alias("n_links"), F.coalesce(F.col("doc_id") == class_id, F.lit(True)).alias("kept"))
+    grouped_row = F.col("doc_id").isNotNull() & F.col("root").isNotNull()
+    return out.select(
+        "doc_id",
+        "text_key",
+        F.when(F.col("doc_id").isNotNull(), class_id).alias("class_id"),
+        F.when(F.col("doc_id").isNull(), F.lit(0)).otherwise(F.coalesce("n", F.lit(0))).alias("n_links"),
+        F.coalesce(F.col("doc_id") == class_id, F.lit(True)).alias("kept"),
+        (~grouped_row | ((F.col("doc_id") == F.col("root")) & (F.col("text_key") == F.col("head_key")))).alias("stays"),
+        (grouped_row & (F.col("members") > 1)).alias("copies"),
+    )
