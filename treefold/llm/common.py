@@ -98,6 +98,7 @@ def labelled_sample(
 ) -> list[tuple[int, str, int]]:
     """At most per_class labelled rows of each class outside the held-out fold, and at most max_chars of text in all.
 
+    A row whose text would pass max_chars is left out; later rows that fit still count.
     Rows come in the order of a seeded hash of their ids, so the sample is a fair
     one, the same in every run. These two bounds are what the driver may hold.
     """
@@ -108,13 +109,14 @@ def labelled_sample(
     slim = docs.select(F.col(id_col).cast("long").alias("__s_id"), text_or_empty(text_col).alias("__s_text"))
     # at most 2 * per_class rows, so the hint is safe at any size of the corpus
     found = slim.join(F.broadcast(picked), "__s_id").withColumn("__s_chars", F.length("__s_text"))
-    total, last = 0, None
+    total, kept = 0, set()
     for order, chars in sorted(tuple(r) for r in found.select("__s_order", "__s_chars").collect()):
-        total += chars
-        if total > max_chars:
-            break
-        last = order
-    if last is None:
+        # a text that does not fit is left out, and the next one tried
+        if total + chars <= max_chars:
+            total += chars
+            kept.add((order, chars))
+    if not kept:
         return []
-    rows = found.where(F.col("__s_order") <= last).select("__s_id", "__s_text", "__s_label", "__s_order").distinct().orderBy("__s_order", "__s_text")
+    fits = docs.sparkSession.createDataFrame(sorted(kept), "__s_order long, __s_chars long")
+    rows = found.join(F.broadcast(fits), ["__s_order", "__s_chars"]).select("__s_id", "__s_text", "__s_label", "__s_order").distinct().orderBy("__s_order", "__s_text")
     return [(r[0], r[1], int(r[2])) for r in rows.collect()]
