@@ -12,6 +12,7 @@ from collections.abc import Iterable, Iterator
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -73,19 +74,29 @@ def first_fit_decreasing(lengths: np.ndarray, capacity: int = CAPACITY) -> tuple
 
 
 PIECE = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long"
+#: Tells apart pieces that are alike in all else; 0 for a document met for the first time.
+SALT = "pack_salt"
 
 
 def _cut(path: str | None, capacity: int, with_ids: bool):
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        task, row = TaskContext.get().partitionId() << 40, 0
         for (doc_ids,), encoded in encoded_slices(batches, path):
-            rows: list[list] = [[], [], [], [], [], []]
+            rows: list[list] = [[], [], [], [], [], [], []]
+            met = set()
             for doc_id, ids in zip(doc_ids, encoded):
+                # rows without an id, and further copies of a row, are spread by their place
+                row += 1
+                key = (doc_id, len(ids), crc32_ids(ids))
+                salt = task + row if doc_id is None or key in met else 0
+                met.add(key)
                 for start in range(0, len(ids), capacity):
                     piece = ids[start : start + capacity]
-                    for column, value in zip(rows, (doc_id, start, len(piece), crc32_ids(piece), len(ids), piece.tobytes() if with_ids else None)):
+                    crc = key[2] if len(piece) == len(ids) else crc32_ids(piece)
+                    for column, value in zip(rows, (doc_id, start, len(piece), crc, len(ids), salt, piece.tobytes() if with_ids else None)):
                         column.append(value)
-            arrays = [pa.array(r, pa.int64()) for r in rows[:5]] + ([pa.array(rows[5], pa.binary())] if with_ids else [])
-            yield pa.RecordBatch.from_arrays(arrays, ["doc_id", "start", "length", "ids_crc32", "doc_tokens", "ids"][: len(arrays)])
+            arrays = [pa.array(r, pa.int64()) for r in rows[:6]] + ([pa.array(rows[6], pa.binary())] if with_ids else [])
+            yield pa.RecordBatch.from_arrays(arrays, ["doc_id", "start", "length", "ids_crc32", "doc_tokens", SALT, "ids"][: len(arrays)])
 
     return run
 
@@ -95,26 +106,26 @@ def token_pieces(docs: DataFrame, tokenizer_path: str | None = None, capacity: i
     prepare(docs.sparkSession)
     text = text_or_empty(text_col)
     slim = docs.select(F.col(id_col).cast("long").alias("doc_id"), text.alias("text"), F.length(text).alias("chars"))
-    return slim.mapInArrow(_cut(tokenizer_path, capacity, with_ids), PIECE + (", ids binary" if with_ids else ""))
+    return slim.mapInArrow(_cut(tokenizer_path, capacity, with_ids), f"{PIECE}, {SALT} long" + (", ids binary" if with_ids else ""))
 
 
 def _pack_group(capacity: int):
     def run(table: pa.Table) -> pa.Table:
-        order = np.lexsort((table["start"].to_numpy(), table["doc_id"].fill_null(np.iinfo(np.int64).max).to_numpy()))
-        table = table.take(pa.array(order))
+        keys = [table[c].fill_null(np.iinfo(np.int64).max).to_numpy() for c in ("doc_id", "start", "doc_tokens", "ids_crc32", SALT)]
+        table = table.take(pa.array(np.lexsort(keys[::-1])))
         bins, offsets = first_fit_decreasing(table["length"].to_numpy(), capacity)
         group = table["pack_group"][0].as_py() if table.num_rows else 0
-        table = table.drop_columns(["pack_group"])
+        table = table.drop_columns(["pack_group", SALT])
         return table.append_column("sequence_id", pa.array(bins + group * GROUP_SPAN, pa.int64())).append_column("offset", pa.array(offsets, pa.int64()))
 
     return run
 
 
 def pack_pieces(pieces: DataFrame, n_pieces: int, capacity: int = CAPACITY, group_pieces: int = GROUP_PIECES, seed: int = 17) -> DataFrame:
-    """Adds sequence_id and offset. pieces needs doc_id, start and length; further columns ride along."""
+    """Adds sequence_id and offset to token_pieces; groups depend on what a piece is, not on where it lay."""
     groups = max(1, -(-n_pieces // group_pieces))
-    dealt = pieces.withColumn("pack_group", F.pmod(F.xxhash64(F.lit(seed), "doc_id", "start"), F.lit(groups)).cast("long"))
-    schema = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in pieces.schema) + ", sequence_id long, offset long"
+    dealt = pieces.withColumn("pack_group", F.pmod(F.xxhash64(F.lit(seed), "doc_id", "start", "doc_tokens", "ids_crc32", SALT), F.lit(groups)).cast("long"))
+    schema = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in pieces.schema if f.name != SALT) + ", sequence_id long, offset long"
     return dealt.groupBy("pack_group").applyInArrow(_pack_group(capacity), schema)
 
 
@@ -124,7 +135,9 @@ def pack(docs: DataFrame, tokenizer_path: str | None = None, capacity: int = CAP
     A null or empty text is its end id alone. Rows that repeat an id are packed
     as documents of their own. A document longer than a sequence is cut at
     multiples of the capacity; every id lies in exactly one piece. Ties in
-    length are placed by doc id and start. An empty table gives no piece.
+    length are placed by doc id, start and content, so reruns agree; only rows
+    without an id and full repeats of a row are told apart by where they lie,
+    which spreads them over the groups. An empty table gives no piece.
     """
     pieces = materialise(token_pieces(docs, tokenizer_path, capacity, with_ids, id_col, text_col), "pieces")
     return pack_pieces(pieces, pieces.count(), capacity, group_pieces, seed)

@@ -21,6 +21,7 @@ from .tokens import encoded_slices
 
 ROW = "part int, doc_id long, local_start long, n_tokens long, ids array<int>"
 ROW_INDEX_STRIDE = 1000
+HEAD_CHARS = 32
 
 
 def _encode(path: str | None):
@@ -41,11 +42,15 @@ def _encode(path: str | None):
 
 
 def write_token_files(docs: DataFrame, path: str, tokenizer_path: str | None = None, id_col: str = "doc_id", text_col: str = "text") -> None:
-    """Writes the ids of every document to ORC files under path, in ascending doc id (null ids first, equal ids by text)."""
+    """Writes the ids of every document to ORC files under path, in ascending doc id (null ids first, equal ids by text).
+
+    An id that many rows share, or the null id, is split over tasks by the head
+    of the text, and equal rows by their place.
+    """
     prepare(docs.sparkSession)
     text = text_or_empty(text_col)
-    slim = docs.select(F.col(id_col).cast("long").alias("doc_id"), text.alias("text"), F.length(text).alias("chars"))
-    dealt = slim.repartitionByRange("doc_id").sortWithinPartitions("doc_id", "text")
+    slim = docs.select(F.col(id_col).cast("long").alias("doc_id"), text.alias("text"), F.length(text).alias("chars"), F.monotonically_increasing_id().alias("place"))
+    dealt = slim.repartitionByRange("doc_id", F.substring("text", 1, HEAD_CHARS), "place").sortWithinPartitions("doc_id", "text", "place")
     (
         dealt.mapInArrow(_encode(tokenizer_path), ROW)
         .write.option("orc.bloom.filter.columns", "doc_id")
