@@ -213,15 +213,81 @@ def test_mix(docs, rows, none):
     want = {(sizes[s], round(float(t), 6)): round(t) for s, t in targets.items()}
     assert {k: v[0] for k, v in by_target.items()} == want
     assert sorted(map(str, got)) == sorted(map(str, mixing.mix(docs.repartition(2), block_words=50, shards=3).collect()))
-    # every block lies in one shard
+    # every reading of a block lies in one shard, and shards hold as many of each source as the tree says
     place = {}
     for r in got:
         for d in r["draws"]:
-            place.setdefault((r["source_size"], d["block"]), set()).add(d["shard"])
+            place.setdefault((r["source_size"], round(r["target"], 6), d["epoch"], d["block"]), set()).add(d["shard"])
     assert all(len(v) == 1 for v in place.values())
+    plan, _, shards = mixing._plan([(s, sizes[s]) for s in order], (3, 1, 2), 1.5, 2, 50, 3, 29)
+    dealt = [[0, *line[-1]] for line in plan]
+    for line, ends in zip(plan, dealt):
+        for k in range(shards):
+            held = sum(v == {k} for key, v in place.items() if key[:2] == (line[2], round(line[3], 6)))
+            assert held == ends[k + 1] - ends[k]
     assert mixing.mix(none).count() == 0 and mixing.mixed_documents(none).count() == 0
 
 
+def _brute_mix(spark, docs, block, shards, seed=29):
+    """Words taken of each row, from the line of each source laid out in plain Python."""
+    rows = docs.selectExpr("doc_id", "source", "coalesce(regexp_count(text, '[^\\\\x20\\\\x09-\\\\x0D]+'), 0) AS size", f"xxhash64({seed}, doc_id, coalesce(text, '')) AS h").collect()
+    buckets = -(-len(rows) // mixing.BUCKET_ROWS)
+    sizes = {}
+    for r in rows:
+        sizes[r["source"]] = sizes.get(r["source"], 0) + r["size"]
+    plan, _, _ = mixing._plan(list(sizes.items()), (3, 1, 2), 1.5, 2, block, shards, seed)
+    out = []
+    for _, source, size, _, blocks, quota, last, step, turn, ends in plan:
+        line = sorted((r for r in rows if r["source"] == source), key=lambda r: (r["h"] % buckets, r["h"], r["doc_id"] or 0, r["size"]))
+        taken = [0] * size
+        for e in range(2):
+            for b in range(blocks):
+                place = e * blocks + (b * step + turn) % blocks
+                if place < ends[-1]:
+                    stop = b * block + (last if place == quota - 1 else block)
+                    for i in range(b * block, min(stop, size)):
+                        taken[i] += 1
+        at = 0
+        for r in line:
+            out.append((r["doc_id"], r["size"], sum(taken[at : at + r["size"]])))
+            at += r["size"]
+    return out
+
+
+@pytest.mark.parametrize("block,shards", [(50, 3), (7, 5), (4096, None)])
+def test_mix_against_brute_force(spark, docs, block, shards):
+    got = [(r["doc_id"], r["size"], r["taken"]) for r in mixing.mix(docs, block_words=block, shards=shards).collect()]
+    assert sorted(map(str, got)) == sorted(map(str, _brute_mix(spark, docs, block, shards)))
+
+
+def test_the_tree_decides_what_is_drawn(docs, monkeypatch):
+    def shard_words():
+        out = {}
+        for r in mixing.mix(docs, block_words=20, shards=4).collect():
+            for d in r["draws"]:
+                out[r["source_size"], d["shard"]] = out.get((r["source_size"], d["shard"]), 0) + d["n_words"]
+        return out
+
+    own = shard_words()
+    whole = mixing.splitting_tree
+    monkeypatch.setattr(mixing, "splitting_tree", lambda quotas, shards, seed: whole(quotas, shards, seed + 1))
+    assert shard_words() != own
+    monkeypatch.setattr(mixing, "splitting_tree", lambda quotas, shards, seed: np.zeros((len(quotas), shards), np.int64))
+    assert shard_words() == {}
+
+
+def test_line_positions_in_groups_of_buckets(spark, monkeypatch):
+    monkeypatch.setattr(mixing, "GROUP_BUCKETS", 3)
+    rows = [(s, b, i, (i * 7 + b) % 5) for s in (0, 1) for b in range(10) for i in range(4)]
+    df = spark.createDataFrame(rows, "line int, __mix_bucket long, i int, size long")
+    at, want = {}, set()
+    for s, b, i, size in rows:
+        want.add((s, b, i, at.get(s, 0)))
+        at[s] = at.get(s, 0) + size
+    got = mixing._running_totals(df, "line", "size", ["i"], 10)
+    assert {tuple(r) for r in got.select("line", "__mix_bucket", "i", "__mix_at").collect()} == want
+
+
 def test_mixed_documents(docs):
     mixed = mixing.mixed_documents(docs, block_words=50, shards=3)
     assert mixed.columns == docs.columns

@@ -25,7 +25,9 @@ def op1_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op2_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return mix(documents(spark, sf_dir)).select("doc_id", "size", "source_size", "target", "taken")
+    mixed = mix(documents(spark, sf_dir))
+    draws = F.array_join(F.transform("draws", lambda d: F.concat_ws(":", d["epoch"], d["block"], d["shard"], d["first_word"], d["n_words"])), " ")
+    return mixed.select("doc_id", "size", "source_size", "target", "taken", draws.alias("draws"))
 
 
 def op3_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
