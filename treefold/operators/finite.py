@@ -291,7 +291,7 @@ class Prepared:
     dec: Decomposition
 
 
-def prepare_tree(tree: DataFrame, m: int | None = None, seed: int = 0, shape: str = "balanced", rules: Rules = Rules(), local_rows: int = 2_000_000, cap: int | None = -1) -> Prepared:
+def prepare_tree(tree: DataFrame, m: int | None = None, seed: int = 0, shape: str = "balanced", rules: Rules = Rules(), local_rows: int | None = None, cap: int | None = -1) -> Prepared:
     n = tree.count()
     m = m or default_machines(n)
     bt = materialise(binary_extension(tree, default_cap(n, m) if cap == -1 else cap, seed, shape), "binary")

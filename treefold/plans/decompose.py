@@ -6,9 +6,12 @@ merged into its closest selected ancestor. A component that has reached n/m
 vertices is completed and merges no more.
 
 The loop works on a component table that shrinks by a constant factor in each
-turn. Completed components leave it. Once the table is small it is finished in
-one task by the same rules on arrays, and trees smaller than a piece are whole
-pieces from the start.
+turn; a turn is three jobs, whose measures come from the same passes. Completed
+components leave the table: at most m ever do, so what the others need to know
+of them is a small table. Once the table is no longer than one machine's space
+(about n/m log n rows) it is finished in one task by the same rules on arrays,
+with the same coins and so the same pieces. Trees smaller than a piece are whole pieces from
+the start.
 """
 
 from __future__ import annotations
@@ -22,7 +25,17 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .iterate import materialise, prepare
+from .iterate import materialise, measured, prepare, release
+
+#: A machine's space is its share n/m times a logarithm: with this factor, and within these bounds
+#: (the upper one is about 300 MB of arrays), it is how long a component table one task may finish.
+LOCAL_FACTOR = 0.25
+LOCAL_FLOOR, LOCAL_CEILING = 20_000, 4_000_000
+#: Most completed components that are sent to all tasks; a larger m joins them by shuffle.
+BROADCAST_COMPLETED = 200_000
+#: Doublings of the first pass over walks; their plan doubles with each, and most walks are this short.
+FIRST_DOUBLINGS = 2
+COIN_SIDES = 1 << 20
 
 
 @dataclass(frozen=True)
@@ -55,30 +68,65 @@ class Decomposition:
         return int(max([0, *self.measure("iterations")]))
 
 
-# ---- one turn on arrays (also the sequential form of the algorithm) ----
+# ---- the coin, one definition for both forms ----
+
+# The primes of the public XXH64 function, which Spark's xxhash64 is.
+_PRIMES = (0x9E3779B185EBCA87, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0x85EBCA77C2B2AE63, 0x27D4EB2F165667C5)
+# End of fixed values.
+_SPARK_SEED = 42
+
+
+def _rotate(x: np.ndarray, by: int) -> np.ndarray:
+    return (x << np.uint64(by)) | (x >> np.uint64(64 - by))
+
+
+def hash_long(value: np.ndarray, seed: np.ndarray) -> np.ndarray:
+    """XXH64 of one 64-bit number for each seed, as Spark computes it for a bigint column."""
+    one, two, three, four, five = (np.uint64(p) for p in _PRIMES)
+    h = seed + five + np.uint64(8)
+    h = h ^ (_rotate(value * two, 31) * one)
+    h = _rotate(h, 27) * one + four
+    for shift, prime in ((33, two), (29, three)):
+        h = (h ^ (h >> np.uint64(shift))) * prime
+    return h ^ (h >> np.uint64(32))
+
+
+def coins(tree: np.ndarray, comp: np.ndarray, turn: int, seed: int) -> np.ndarray:
+    """What coin() gives, on arrays."""
+    with np.errstate(over="ignore"):
+        h = np.full(len(comp), _SPARK_SEED, np.uint64)
+        for part in (tree, comp, np.full(len(comp), turn), np.full(len(comp), seed)):
+            h = hash_long(part.astype(np.int64).view(np.uint64), h)
+    return (h & np.uint64(COIN_SIDES - 1)).astype(np.int64)
 
 
-def _mix(x: np.ndarray) -> np.ndarray:
-    x = (x ^ (x >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
-    x = (x ^ (x >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
-    return x ^ (x >> np.uint64(31))
+def coin(turn: int, seed: int):
+    """A seeded hash, never rand(): a recomputed task must choose alike."""
+    return F.pmod(F.xxhash64("tree_id", "comp_id", F.lit(turn).cast("long"), F.lit(seed).cast("long")), F.lit(COIN_SIDES))
 
 
-def contract_arrays(node_id: np.ndarray, parent: np.ndarray, size: np.ndarray, limit: float, stop: int, seed: int, rules: Rules = Rules(), completed: np.ndarray | None = None, first_turn: int = 0) -> tuple[np.ndarray, np.ndarray, np.ndarray, list[tuple[int, str, float]]]:
+# ---- turns on arrays (also the sequential form of the algorithm) ----
+
+
+def contract_arrays(
+    tree: np.ndarray, node_id: np.ndarray, parent: np.ndarray, size: np.ndarray, limit: float, stop: int, seed: int, rules: Rules = Rules(), completed: np.ndarray | None = None, gone_kids: np.ndarray | None = None, first_turn: int = 0
+) -> tuple[np.ndarray, np.ndarray, np.ndarray, list[tuple[int, str, float]]]:
     """All remaining turns on arrays; parent holds positions, -1 for roots.
 
+    gone_kids counts children that are completed and not among the positions' parents' children here.
     Returns (position of the component each position ends in, sizes by position, completed by position, metrics).
     """
     n = len(node_id)
     up, size = parent.copy(), size.astype(np.int64).copy()
     done = np.zeros(n, bool) if completed is None else completed.copy()
+    gone = np.zeros(n, np.int64) if gone_kids is None else gone_kids.astype(np.int64).copy()
     alive = np.ones(n, bool)
     into = np.arange(n)
     metrics: list[tuple[int, str, float]] = []
     turn = first_turn
     while int(alive.sum()) > stop and turn < rules.max_iterations:
         live = np.flatnonzero(alive)
-        kids = np.bincount(up[live][up[live] >= 0], minlength=n)
+        kids = np.bincount(up[live][up[live] >= 0], minlength=n) + gone
         chosen = np.zeros(n, bool)
         above = up[live]
         if rules.root:
@@ -87,16 +135,14 @@ def contract_arrays(node_id: np.ndarray, parent: np.ndarray, size: np.ndarray, l
             chosen[live] |= kids[live] == 2
         if rules.below_completed:
             chosen[live] |= (above >= 0) & done[np.maximum(above, 0)]
-        salt = _mix(np.array([((1 + turn) * 0x9E3779B97F4A7C15 + seed) % (1 << 64)], np.uint64))
-        key = _mix(node_id[live].astype(np.uint64) ^ salt)
         if rules.coin:
-            chosen[live] |= (kids[live] == 1) & ((key >> np.uint64(11)).astype(np.float64) / (1 << 53) < rules.p)
+            chosen[live] |= (kids[live] == 1) & (coins(tree[live], node_id[live], turn, seed) < int(rules.p * COIN_SIDES))
         # without the rule, walks pass completed components, and pieces need not be connected
         fixed = (chosen | done) if rules.below_completed else chosen.copy()
         fixed[live[above < 0]] = True
         moving = live[~fixed[live] & ~done[live]]
         active = live[~done[live]]
-        metrics += [(turn, "components", len(live)), (turn, "selected_share", float(chosen[active].sum()) / max(1, len(active))), (turn, "merged", len(moving)), (turn, "max_children", float(kids[live].max(initial=0)))]
+        metrics += [(turn, "components", len(live)), (turn, "selected_share", float(fixed[active].sum()) / max(1, len(active))), (turn, "merged", len(moving)), (turn, "max_children", float(kids[live].max(initial=0)))]
         if not len(moving):
             if not np.any((kids[live] == 1) & ~done[live] & rules.coin):
                 break  # nothing can merge any more
@@ -114,6 +160,7 @@ def contract_arrays(node_id: np.ndarray, parent: np.ndarray, size: np.ndarray, l
         metrics.append((turn, "longest_walk", float(hops[moving].max())))
         target = ptr[moving]
         np.add.at(size, target, size[moving])
+        np.add.at(gone, target, gone[moving])
         into[moving] = target
         alive[moving] = False
         rest = np.flatnonzero(alive)
@@ -132,61 +179,68 @@ def contract_arrays(node_id: np.ndarray, parent: np.ndarray, size: np.ndarray, l
 
 # ---- the distributed loop ----
 
+COMPONENT = ("tree_id", "comp_id", "parent_comp", "n_vertices", "below", "gone_kids")
+
 
 def initial(bt: DataFrame) -> DataFrame:
-    """One component for each vertex."""
-    return bt.select("tree_id", F.col("node_id").alias("comp_id"), F.col("parent_id").alias("parent_comp"), F.lit(1).cast("long").alias("n_vertices"), F.lit(False).alias("completed"))
+    """One component for each vertex. below: the parent is completed; gone_kids: completed children."""
+    return bt.select("tree_id", F.col("node_id").alias("comp_id"), F.col("parent_id").alias("parent_comp"), F.lit(1).cast("long").alias("n_vertices"), F.lit(False).alias("below"), F.lit(0).cast("long").alias("gone_kids"))
 
 
-def select(comp: DataFrame, frozen: DataFrame | None, turn: int, seed: int, rules: Rules) -> DataFrame:
-    """Adds kids and selected. frozen holds the completed components that left the loop."""
-    everyone = comp if frozen is None else comp.select("tree_id", "parent_comp").unionAll(frozen.select("tree_id", "parent_comp"))
-    kids = everyone.where("parent_comp IS NOT NULL").groupBy("tree_id", F.col("parent_comp").alias("comp_id")).agg(F.count(F.lit(1)).alias("kids"))
-    rows = comp.join(kids, ["tree_id", "comp_id"], "left").withColumn("kids", F.coalesce("kids", F.lit(0)))
-    if frozen is not None:
-        rows = rows.join(frozen.select("tree_id", F.col("comp_id").alias("parent_comp"), F.lit(True).alias("below")), ["tree_id", "parent_comp"], "left")
-    else:
-        rows = rows.withColumn("below", F.lit(None).cast("boolean"))
-    chosen = F.lit(False)
-    if rules.root:
-        chosen = chosen | F.col("parent_comp").isNull()
+def select(comp: DataFrame, turn: int, seed: int, rules: Rules) -> DataFrame:
+    """Adds kids and selected to the components of the loop."""
+    counted = comp.where("parent_comp IS NOT NULL AND NOT below").groupBy("tree_id", F.col("parent_comp").alias("comp_id")).agg(F.count(F.lit(1)).alias("open_kids"))
+    rows = comp.join(counted, ["tree_id", "comp_id"], "left").withColumn("kids", F.coalesce("open_kids", F.lit(0)) + F.col("gone_kids")).drop("open_kids")
+    chosen = F.col("parent_comp").isNull() | F.col("below")
     if rules.two_children:
         chosen = chosen | (F.col("kids") == 2)
-    if rules.below_completed:
-        chosen = chosen | F.coalesce("below", F.lit(False))
     if rules.coin:
-        # a seeded hash, never rand(): a recomputed task must choose alike
-        chosen = chosen | ((F.col("kids") == 1) & (F.pmod(F.xxhash64("tree_id", "comp_id", F.lit(turn), F.lit(seed)), F.lit(1 << 20)) < int(rules.p * (1 << 20))))
-    return rows.withColumn("selected", chosen | F.col("parent_comp").isNull()).drop("below")
-
-
-def nearest_selected(rows: DataFrame, max_doublings: int = 40) -> tuple[DataFrame, int]:
-    """(tree_id, comp_id, target) for every component, by pointer doubling; and the longest walk."""
-    at = F.when(F.col("selected"), F.col("comp_id")).otherwise(F.col("parent_comp"))
-    ptr = materialise(rows.select("tree_id", "comp_id", at.alias("target"), F.when(F.col("selected"), 0).otherwise(1).alias("hops"), "selected"), "walk")
-    fixed = rows.where("selected").select("tree_id", F.col("comp_id").alias("target"), F.lit(True).alias("there"))
-    for _ in range(max_doublings):
-        nxt = ptr.select("tree_id", F.col("comp_id").alias("target"), F.col("target").alias("far"), F.col("hops").alias("more"))
-        # a target outside the loop's table is a completed component: it stays the target
-        ptr = materialise(
-            ptr.join(nxt, ["tree_id", "target"], "left").select("tree_id", "comp_id", F.coalesce("far", "target").alias("target"), (F.col("hops") + F.coalesce("more", F.lit(0))).alias("hops"), "selected"), "walk"
-        )
-        moving = ptr.where("NOT selected").join(fixed, ["tree_id", "target"], "left_anti")
-        if not moving.limit(1).count():
-            break
-    longest = ptr.agg(F.max("hops")).first()[0] or 0
-    return ptr, int(longest)
+        chosen = chosen | ((F.col("kids") == 1) & (coin(turn, seed) < int(rules.p * COIN_SIDES)))
+    return rows.withColumn("selected", chosen)
+
+
+def walks(rows: DataFrame) -> tuple[DataFrame, int]:
+    """(tree_id, comp_id, target, n_vertices, gone_kids) of every unselected component, and the longest walk.
+
+    Pointer doubling among the unselected ones. After d doublings a pointer has gone
+    2^d steps or has arrived before, so passes end when none has gone all of them.
+    """
+    now = rows.where("NOT selected").select("tree_id", "comp_id", F.col("parent_comp").alias("target"), F.lit(1).cast("long").alias("hops"), "n_vertices", "gone_kids")
+    done, steps = 0, FIRST_DOUBLINGS
+    while True:
+        before = now
+        for _ in range(steps):
+            ahead = now.select("tree_id", F.col("comp_id").alias("target"), F.col("target").alias("far"), F.col("hops").alias("more"))
+            now = now.join(ahead, ["tree_id", "target"], "left").select("tree_id", "comp_id", F.coalesce("far", "target").alias("target"), (F.col("hops") + F.coalesce("more", F.lit(0))).alias("hops"), "n_vertices", "gone_kids")
+        done, steps = done + steps, 1
+        now, seen = measured(now, "walk", longest=F.max("hops"))
+        release(before)
+        if int(seen["longest"] or 0) < 1 << done:
+            return now, int(seen["longest"] or 0)
 
 
 def contract(rows: DataFrame, targets: DataFrame, limit: float) -> DataFrame:
-    """Merges into the targets, adds sizes up and relinks the survivors' parents."""
-    sized = rows.join(targets.select("tree_id", "comp_id", "target"), ["tree_id", "comp_id"])
-    sums = sized.groupBy("tree_id", F.col("target").alias("comp_id")).agg(F.sum("n_vertices").alias("n_vertices"))
-    moved_parent = targets.select("tree_id", F.col("comp_id").alias("parent_comp"), F.col("target").alias("new_parent"))
-    left = rows.where("selected").select("tree_id", "comp_id", "parent_comp").join(sums, ["tree_id", "comp_id"])
-    linked = left.join(moved_parent, ["tree_id", "parent_comp"], "left")
-    # a parent outside the loop's table is completed and keeps its name
-    return linked.select("tree_id", "comp_id", F.coalesce("new_parent", "parent_comp").alias("parent_comp"), "n_vertices", (F.col("n_vertices") >= limit).alias("completed"))
+    """The selected components after the merges: sizes added up, parents relinked."""
+    sums = targets.groupBy("tree_id", F.col("target").alias("comp_id")).agg(F.sum("n_vertices").alias("more"), F.sum("gone_kids").alias("more_gone"))
+    moved_parent = targets.select("tree_id", F.col("comp_id").alias("parent_comp"), "target")
+    left = rows.where("selected").select(*COMPONENT)
+    size = F.col("n_vertices") + F.coalesce("more", F.lit(0))
+    summed = left.join(sums, ["tree_id", "comp_id"], "left").withColumns({"n_vertices": size, "gone_kids": F.col("gone_kids") + F.coalesce("more_gone", F.lit(0))})
+    linked = summed.join(moved_parent, ["tree_id", "parent_comp"], "left").withColumn("parent_comp", F.coalesce("target", "parent_comp"))
+    return linked.select(*COMPONENT, (F.col("n_vertices") >= limit).alias("completed"))
+
+
+def without_completed(after: DataFrame, m: int) -> DataFrame:
+    """The loop's next table: completed components leave, and their parents and children learn of it.
+
+    A completed component has n/m vertices at least, so there are at most m of them.
+    """
+    small = F.broadcast if m <= BROADCAST_COMPLETED else (lambda df: df)
+    gone = after.where("completed")
+    parents = gone.select("tree_id", F.col("comp_id").alias("parent_comp"), F.lit(True).alias("parent_gone"))
+    kids = gone.where("parent_comp IS NOT NULL AND NOT below").groupBy("tree_id", F.col("parent_comp").alias("comp_id")).agg(F.count(F.lit(1)).alias("new_gone"))
+    rows = after.where("NOT completed").join(small(parents), ["tree_id", "parent_comp"], "left").join(small(kids), ["tree_id", "comp_id"], "left")
+    return rows.withColumns({"below": F.col("below") | F.coalesce("parent_gone", F.lit(False)), "gone_kids": F.col("gone_kids") + F.coalesce("new_gone", F.lit(0))}).select(*COMPONENT)
 
 
 def _finish_locally(limit: float, stop: int, seed: int, rules: Rules, turn: int):
@@ -201,9 +255,9 @@ def _finish_locally(limit: float, stop: int, seed: int, rules: Rules, turn: int)
         above = table["parent_comp"].fill_null(-1).to_numpy()
         order = np.lexsort((node, tree))
         tree, node, above = tree[order], node[order], above[order]
-        size, done = table["n_vertices"].to_numpy()[order], np.asarray(table["completed"].to_numpy(zero_copy_only=False), bool)[order]
+        size, gone, done = table["n_vertices"].to_numpy()[order], table["gone_kids"].to_numpy()[order], np.asarray(table["completed"].to_numpy(zero_copy_only=False), bool)[order]
         parent = positions(tree, node, above)
-        into, size, done, metrics = contract_arrays(node, parent, size, limit, stop, seed, rules, done, turn)
+        into, size, done, metrics = contract_arrays(tree, node, parent, size, limit, stop, seed, rules, done, gone, turn)
         n = len(node)
         none = pa.nulls(n, pa.string()), pa.nulls(n, pa.int32()), pa.nulls(n, pa.float64())
         names = [f.split(" ")[0] for f in schema.split(", ")]
@@ -230,71 +284,102 @@ def positions(tree: np.ndarray, node: np.ndarray, above: np.ndarray) -> np.ndarr
     return np.where(known & (key[at] == look), at, -1)
 
 
-def decompose(bt: DataFrame, m: int, seed: int = 0, rules: Rules = Rules(), local_rows: int = 2_000_000, whole_trees: bool = True) -> Decomposition:
+def decompose(bt: DataFrame, m: int, seed: int = 0, rules: Rules = Rules(), local_rows: int | None = None, whole_trees: bool = True) -> Decomposition:
     """Pieces of a binary forest: ASSIGN (vertex -> component) and COMP (the contracted tree).
 
-    local_rows: component tables of at most so many rows are finished in one task; 0
-    keeps everything in the distributed loop. whole_trees: trees below n/m vertices are
-    whole pieces at once.
+    local_rows: component tables of at most so many rows are finished in one task; None
+    takes what one machine may hold, n/m times a quarter of log2 n (within LOCAL_FLOOR
+    and LOCAL_CEILING), 0 keeps everything in the distributed loop. The pieces are the same either way. whole_trees: trees below n/m
+    vertices are whole pieces at once. Raises where the turns run out with too many pieces.
     """
     spark = bt.sparkSession
     prepare(spark)
     bt = bt.select("tree_id", "node_id", "parent_id")
-    per_tree = materialise(bt.groupBy("tree_id").agg(F.count(F.lit(1)).alias("n"), F.min(F.when(F.col("parent_id").isNull(), F.col("node_id"))).alias("root")), "tree-sizes")
-    n, trees = per_tree.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count(F.lit(1))).first()
+    per_tree, found = measured(
+        bt.groupBy("tree_id").agg(F.count(F.lit(1)).alias("n"), F.min(F.when(F.col("parent_id").isNull(), F.col("node_id"))).alias("root")), "tree-sizes", n=F.coalesce(F.sum("n"), F.lit(0)), trees=F.count(F.lit(1))
+    )
+    n, trees = int(found["n"] or 0), int(found["trees"])
     limit = max(1.0, n / max(1, m))
+    if local_rows is None:
+        local_rows = min(LOCAL_CEILING, max(LOCAL_FLOOR, math.ceil(LOCAL_FACTOR * limit * math.log2(max(2, n)))))
     stop = rules.stop_factor * m + trees
     metrics: list[tuple[int, str, float]] = []
-    small = per_tree.where(F.col("n") <= limit) if whole_trees and trees > 1 else per_tree.where("false")
-    whole = bt.join(small.select("tree_id", "root"), "tree_id").select("tree_id", "node_id", F.col("root").alias("comp_id")) if whole_trees and trees > 1 else None
-    rest = bt.join(small.select("tree_id"), "tree_id", "left_anti") if whole is not None else bt
+    whole, rest, rows_now = None, bt, n
+    if whole_trees and trees > 1:
+        small = per_tree.where(F.col("n") <= limit)
+        whole = bt.join(small.select("tree_id", "root"), "tree_id").select("tree_id", "node_id", F.col("root").alias("comp_id"))
+        rest = bt.join(small.select("tree_id"), "tree_id", "left_anti")
+        n_small, covered = small.agg(F.count(F.lit(1)), F.coalesce(F.sum("n"), F.lit(0))).first()
+        stop -= n_small
+        rows_now = n - covered
     comp = initial(rest)
-    rows_now = comp.count()
-    if whole is not None:
-        stop -= small.count()
-    frozen: DataFrame | None = None
+    frozen: list[DataFrame] = []
     logs: list[DataFrame] = []
-    turn = 0
-    n_frozen = 0
+    held: list[DataFrame] = [per_tree]
+    turn, n_frozen = 0, 0
     while rows_now > local_rows and rows_now + n_frozen > stop and turn < rules.max_iterations:
-        rows = materialise(select(comp, frozen, turn, seed, rules), "selected")
-        stats = rows.agg(F.avg(F.col("selected").cast("double")), F.max("kids")).first()
-        targets, walk = nearest_selected(rows)
-        logs.append(targets.where("NOT selected").select("tree_id", "comp_id", "target"))
-        after = materialise(contract(rows, targets, limit), "components")
-        completed = after.where("completed")
-        frozen = materialise((completed if frozen is None else frozen.unionAll(completed)), "completed")
-        comp = after.where("NOT completed")
-        rows_before, rows_now = rows_now, comp.count()
-        n_frozen = frozen.count()
-        metrics += [(turn, "components", rows_before), (turn, "selected_share", stats[0] or 0.0), (turn, "max_children", stats[1] or 0), (turn, "longest_walk", walk), (turn, "merged", rows_before - rows_now)]
+        if not (rules.root and rules.below_completed):
+            raise ValueError("the distributed loop needs the root rule and the rule below completed components")
+        rows, seen = measured(select(comp, turn, seed, rules), "selected", selected=F.sum(F.col("selected").cast("long")), most=F.max("kids"))
+        chosen = int(seen["selected"] or 0)
+        metrics += [(turn, "components", rows_now + n_frozen), (turn, "selected_share", chosen / rows_now), (turn, "merged", rows_now - chosen), (turn, "max_children", seen["most"] or 0)]
+        held.append(rows)
+        if chosen == rows_now:
+            if not rules.coin:
+                break
+            turn += 1
+            continue
+        targets, walk = walks(rows)
+        metrics.append((turn, "longest_walk", walk))
+        logs.append(rows.where("selected").select("tree_id", "comp_id", F.col("comp_id").alias("target")).unionAll(targets.select("tree_id", "comp_id", "target")))
+        after, seen = measured(contract(rows, targets, limit), "components", completed=F.sum(F.col("completed").cast("long")), alive=F.count(F.lit(1)))
+        held.append(after)
+        left = int(seen["completed"] or 0)
+        if left:
+            frozen.append(after.where("completed"))
+        n_frozen, rows_now = n_frozen + left, int(seen["alive"]) - left
+        comp = without_completed(after, m) if left else after.select(*COMPONENT)
         turn += 1
-        if rows_before == rows_now and not rules.coin:
-            break
-    table = comp if frozen is None else comp.unionAll(frozen)
     if rows_now + n_frozen > stop and turn < rules.max_iterations and rows_now <= local_rows:
         run, schema = _finish_locally(limit, stop, seed, rules, turn)
-        # the completed ones come along: their children are selected, and they count towards the stop
+        table = comp.select("tree_id", "comp_id", "parent_comp", "n_vertices", "gone_kids", F.lit(False).alias("completed"))
+        for part in frozen:
+            # completed ones come along, for the rule below them and for the stop; their parents know of them already
+            table = table.unionAll(part.select("tree_id", "comp_id", F.lit(None).cast("long"), "n_vertices", "gone_kids", F.lit(True)))
         finished = materialise(table.coalesce(1).mapInArrow(run, schema), "finished")
+        held.append(finished)
         metrics += [(r["at"], r["metric"], r["value"]) for r in finished.where("metric IS NOT NULL").select("at", "metric", "value").collect()]
         last = finished.where("metric IS NULL").select("tree_id", "comp_id", "target")
     else:
         metrics.append((turn, "iterations", turn))
-        last = table.select("tree_id", "comp_id", F.col("comp_id").alias("target"))
+        last = None
+    pieces = last.select("tree_id", "target").distinct().count() if last is not None else rows_now + n_frozen
+    by_the_book = rules.root and rules.two_children and rules.below_completed and rules.coin
+    if by_the_book and pieces > stop:
+        raise RuntimeError(f"{pieces} pieces after {rules.max_iterations} turns, more than {stop}")
     assign = assignments(rest, logs, last)
     if whole is not None:
         assign = assign.unionAll(whole)
     assign = materialise(assign, "assign")
     comp_table = materialise(contracted_tree(bt, assign, limit), "contracted")
-    return Decomposition(assign, comp_table, m, int(n), int(trees), metrics)
+    release(*held)
+    return Decomposition(assign, comp_table, m, n, trees, metrics)
 
 
-def assignments(bt: DataFrame, logs: list[DataFrame], last: DataFrame) -> DataFrame:
-    """Composes the logs of the turns backwards: each is read once, and earlier ones are larger."""
+def assignments(bt: DataFrame, logs: list[DataFrame], last: DataFrame | None) -> DataFrame:
+    """Where every vertex ends: the logs of the turns composed backwards, one join each, earlier ones larger.
+
+    A component that a later log does not have was completed before, and stays.
+    """
     final = last
     for log in reversed(logs):
-        moved = log.join(final.select("tree_id", F.col("comp_id").alias("target"), F.col("target").alias("end")), ["tree_id", "target"]).select("tree_id", "comp_id", F.col("end").alias("target"))
-        final = final.unionAll(moved)
+        if final is None:
+            final = log
+            continue
+        ends = final.select("tree_id", F.col("comp_id").alias("target"), F.col("target").alias("end"))
+        final = log.join(ends, ["tree_id", "target"], "left").select("tree_id", "comp_id", F.coalesce("end", "target").alias("target"))
+    if final is None:
+        return bt.select("tree_id", "node_id", F.col("node_id").alias("comp_id"))
     return final.select("tree_id", F.col("comp_id").alias("node_id"), F.col("target").alias("comp_id"))
 
 
@@ -302,7 +387,9 @@ def contracted_tree(bt: DataFrame, assign: DataFrame, limit: float) -> DataFrame
     """COMP from the assignment: parents, attach vertices, sizes, child counts."""
     inside = assign.groupBy("tree_id", "comp_id").agg(F.count(F.lit(1)).alias("n_vertices"))
     roots = bt.join(assign.where("node_id = comp_id"), ["tree_id", "node_id"]).select("tree_id", "comp_id", F.col("parent_id").alias("attach_node"))
-    above = assign.select("tree_id", F.col("node_id").alias("attach_node"), F.col("comp_id").alias("parent_comp"))
+    # few rows are wanted of the whole assignment, so the small side may go to all tasks
+    attach = roots.where("attach_node IS NOT NULL").select("tree_id", "attach_node").distinct()
+    above = assign.select("tree_id", F.col("node_id").alias("attach_node"), F.col("comp_id").alias("parent_comp")).join(attach, ["tree_id", "attach_node"])
     linked = roots.join(above, ["tree_id", "attach_node"], "left")
     kids = linked.where("parent_comp IS NOT NULL").groupBy("tree_id", F.col("parent_comp").alias("comp_id")).agg(F.count(F.lit(1)).cast("int").alias("n_children"))
     return (
