@@ -3,6 +3,7 @@
 import hashlib
 import random
 import zlib
+from pathlib import Path
 
 import numpy as np
 import pytest
@@ -383,15 +384,61 @@ def test_token_files(spark, docs, rows, none, tmp_path):
 
 def test_licenses(spark, docs, rows, none):
     mit = dict(licenses.LICENSE_TEXTS)["MIT"]
-    wrapped = mit.replace(" is hereby granted", "\nis hereby granted").upper() + "\nCopyright (c) 2021 Someone"
+    wrapped = "The MIT License\n" + mit.replace(" is hereby granted", "\nis hereby granted").upper() + "\nCopyright (c) 2021 Someone"
     british = dict(licenses.LICENSE_TEXTS)["Zlib"].replace("acknowledgment", "acknowledgement")
-    df = spark.createDataFrame([(1, wrapped, 7), (2, british, 7), (3, mit + " and more", 7), (4, "text\n  licenced under the apache LICENSE version 2.0 \nCopyright 2020 X", 7), (5, None, 7)], "doc_id long, text string, license int")
-    got = {r["doc_id"]: (r["license"], r["notices"]) for r in licenses.scan_licenses(df).collect()}
-    assert got == {1: ("MIT", []), 2: ("Zlib", []), 3: (None, []), 4: (None, ["Apache-2.0"]), 5: (None, [])}
+    parted = mit.replace("NONINFRINGEMENT", "NON-\nINFRINGEMENT")
+    df = spark.createDataFrame(
+        [(1, wrapped, 7), (2, british, 7), (3, mit + " and more", 7), (4, "text\n  licenced under the apache LICENSE version 2.0 \nCopyright 2020 X", 7), (5, None, 7), (6, parted, 7), (6, mit, 7), (None, mit, 7)],
+        "doc_id long, text string, license int",
+    )
+    got = sorted((r["doc_id"] or 0, r["license"], tuple(r["notices"])) for r in licenses.scan_licenses(df).collect())
+    assert got == [(0, "MIT", ()), (1, "MIT", ()), (2, "Zlib", ()), (3, None, ()), (4, None, ("Apache-2.0",)), (5, None, ()), (6, "MIT", ()), (6, "MIT", ())]
     assert licenses.scan_licenses(docs).count() == len(rows)
     assert licenses.scan_licenses(none).count() == 0
 
 
+def test_copyright_lines_and_spellings(spark):
+    mit = dict(licenses.LICENSE_TEXTS)["MIT"]
+    gone = ["Copyright (c) 2020 X", "(c) Copyright 2020 X", "Copyright Jane Doe 2021", "Copyright © 2020 X", " * Copyright 1999, 2004-2010 The Foo Authors.", "© 2019 Foo", "Copyright [yyyy] [name]", "copyright by Jane Doe", "# All rights reserved.", "Copyright: Jane"]
+    stay = ["C 1999 was a good year", "Copyright notice and this permission notice", "the copyright 2020 edition", "copyright law applies", "No rights are reserved"]
+    df = spark.createDataFrame([(i, f"{line}\n{mit}") for i, line in enumerate(gone + stay)], "doc_id long, text string")
+    got = {r["doc_id"]: r["license"] for r in licenses.scan_licenses(df).collect()}
+    assert [line for i, line in enumerate(gone) if got[i] != "MIT"] == []
+    assert [line for i, line in enumerate(stay, len(gone)) if got[i] is not None] == []
+    pairs = [("programmers programme programmes", "programmers program programs"), ("to fulfil", "to fulfill"), ("Licence, LICENCES", "license licenses"), ("organised Reorganised", "organized reorganised"), ("copyright\nowner", "copyright holder"), ("non-commercial non commercial", "noncommercial noncommercial")]
+    text = spark.createDataFrame(pairs, "text string, want string")
+    assert [r[0] for r in text.select(licenses.canonical_text(text["text"])).collect()] == [want for _, want in pairs]
+
+
+def test_digests_of_the_public_texts(spark):
+    folder = Path("/usr/share/common-licenses")
+    if not folder.is_dir():
+        pytest.skip("no public licence texts on this machine")
+    found = {}
+    for file in folder.iterdir():
+        if file.name not in ("README.txt",) and not file.is_symlink():
+            text = file.read_text(encoding="utf-8")
+            for part in {text, text.replace("Copyright (C)", "Copyright (c)"), " ".join(text.split(" "))}:
+                found[len(found)] = (file.name, part)
+    df = spark.createDataFrame([(i, text) for i, (_, text) in found.items()], "doc_id long, text string")
+    got = {r["doc_id"]: r["license"] for r in licenses.scan_licenses(df).collect()}
+    assert all(got.values()) and {got[i] for i in got} == {name for name, part, _ in licenses.LICENSE_DIGESTS if part == "whole"}
+
+
+def test_licenses_against_sql(spark, tmp_path):
+    import duckdb
+
+    mit = dict(licenses.LICENSE_TEXTS)["MIT"]
+    texts = [*[t for _, t in licenses.LICENSE_TEXTS], "MIT License\n\nCopyright (c) 2020 X\n\n" + mit, None, "", "Released under the MIT Licence.\nLicensed under CC BY 4.0.", "© programme\nnon\ncommercial fulfil", mit + " x"]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    df.write.parquet(str(tmp_path / "d"))
+    con = duckdb.connect()
+    con.sql(f"CREATE VIEW documents AS SELECT * FROM '{tmp_path}/d/*.parquet'")
+    want = sorted(con.sql("SELECT doc_id, canonical_sha256, license, notices FROM (" + licenses.oracle() + ")").fetchall())
+    got = sorted((r["doc_id"], r["canonical_sha256"], r["license"], ",".join(r["notices"])) for r in licenses.scan_licenses(df).collect())
+    assert got == want and sum(r[2] is not None for r in got) == len(licenses.LICENSE_TEXTS) + 1
+
+
 # ---- fingerprints ----
 
 

@@ -1,9 +1,9 @@
 """Licence scans by canonical digest, in DataFrame operations only.
 
-Text is brought to a canonical form (case, punctuation, copyright lines,
-equivalent spellings), and whole texts are hash-joined by digest to a table of
-known licences. Lines that are a known licence notice in the same canonical
-form are reported too.
+A text loses its copyright lines and is brought to a canonical form (case,
+punctuation, line breaks, equivalent spellings); its digest is hash-joined to
+the digests of known licences, so only a document that is a whole licence text
+is named. Lines that are a known one-line notice are reported beside that.
 """
 
 from __future__ import annotations
@@ -44,7 +44,7 @@ _BSD_TAIL = (
 LICENSE_TEXTS = (
     (
         "MIT",
-        "MIT License\nPermission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation files "
+        "Permission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation files "
         '(the "Software"), to deal in the Software without restriction, including without limitation the rights to use, copy, modify, merge, publish, '
         "distribute, sublicense, and/or sell copies of the Software, and to permit persons to whom the Software is furnished to do so, subject to the "
         "following conditions:\nThe above copyright notice and this permission notice shall be included in all copies or substantial portions of the "
@@ -68,6 +68,62 @@ LICENSE_TEXTS = (
         "misrepresented as being the original software.\n3. This notice may not be removed or altered from any source distribution.",
     ),
 )
+_MIT_GRANT = (
+    "Permission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation files "
+    '(the "Software"), to deal in the Software without restriction, including without limitation the rights to use, copy, modify, merge, publish, '
+    "distribute, sublicense, and/or sell copies of the Software, and to permit persons to whom the Software is furnished to do so."
+)
+LICENSE_TEXTS += (
+    ("MIT-0", _MIT_GRANT + "\n" + _AS_IS),
+    (
+        "Unlicense",
+        "This is free and unencumbered software released into the public domain.\n\nAnyone is free to copy, modify, publish, use, compile, sell, or "
+        "distribute this software, either in source code form or as a compiled binary, for any purpose, commercial or non-commercial, and by any means.\n\n"
+        "In jurisdictions that recognize copyright laws, the author or authors of this software dedicate any and all copyright interest in the software "
+        "to the public domain. We make this dedication for the benefit of the public at large and to the detriment of our heirs and successors. We intend "
+        "this dedication to be an overt act of relinquishment in perpetuity of all present and future rights to this software under copyright law.\n\n"
+        'THE SOFTWARE IS PROVIDED "AS IS", WITHOUT WARRANTY OF ANY KIND, EXPRESS OR IMPLIED, INCLUDING BUT NOT LIMITED TO THE WARRANTIES OF '
+        "MERCHANTABILITY, FITNESS FOR A PARTICULAR PURPOSE AND NONINFRINGEMENT. IN NO EVENT SHALL THE AUTHORS BE LIABLE FOR ANY CLAIM, DAMAGES OR OTHER "
+        "LIABILITY, WHETHER IN AN ACTION OF CONTRACT, TORT OR OTHERWISE, ARISING FROM, OUT OF OR IN CONNECTION WITH THE SOFTWARE OR THE USE OR OTHER "
+        "DEALINGS IN THE SOFTWARE.\n\nFor more information, please refer to <https://unlicense.org>",
+    ),
+)
+#: Lines that stand above a licence text or not.
+LICENSE_TITLES = (
+    ("MIT", "MIT License"),
+    ("MIT", "The MIT License"),
+    ("MIT", "The MIT License (MIT)"),
+    ("MIT-0", "MIT No Attribution"),
+    ("BSD-2-Clause", "BSD 2-Clause License"),
+    ("BSD-3-Clause", "BSD 3-Clause License"),
+    ("ISC", "ISC License"),
+    ("0BSD", "BSD Zero Clause License"),
+    ("Zlib", "zlib License"),
+    ("Unlicense", "The Unlicense"),
+)
+#: Canonical digests of long licence texts (see text_digests); "body" ends before the advice on how to apply the licence.
+LICENSE_DIGESTS = (
+    ("Apache-2.0", "whole", "04e64e0427d80fdde16fa8415931bf2c09bc943f13ec322a09df188bf23a3543"),
+    ("Apache-2.0", "body", "119e2da0e9ec849d113a40405b338c1bbbd2ef9194c22bf2740fa4e195411c40"),
+    ("Artistic-1.0-Perl", "whole", "e963bc30f4d3c45f45030c34409ee37315564625649c1394e32bb5ddd99e01b2"),
+    ("BSD-3-Clause", "whole", "21ce5e311a0ef74591e636cf6d0a236029bcaa0ee86324ac68d5748657aa8651"),
+    ("CC0-1.0", "whole", "cccf7894e1b9f4ba9f97728bf0c5baf9e07bc2ac93da7a51556451b1fb2b868e"),
+    ("GFDL-1.2", "whole", "1c057ea35084eb195331cec1a49fca335c176422a7726a9a23636906fd4e241f"),
+    ("GFDL-1.3", "whole", "7e8edd3abe6258bb82bb853d91a0c24fcd9976894fd0592747354cffe1cb18e7"),
+    ("GPL-1.0", "whole", "8f586b09c093668e2db772bdcfc1d5dc0b03e0e862fccbff035e1bf134e9b224"),
+    ("GPL-1.0", "body", "6375a768fd262bf5281905a9585411d2d0fb4ea15cb08cfcba49f73fedb82abc"),
+    ("GPL-2.0", "whole", "efe73660e5476cf0368fc0fc143f624ff9d1b73c4484b14a9969dd20c5786821"),
+    ("GPL-2.0", "body", "e1270b653c300290e7c039142bccb8776f9b5d14e8a05bc4e87dc7d1614a3b34"),
+    ("GPL-3.0", "whole", "a8cd54d6683aa630f0b8d05d56184ad91dc486756da2df61c94d3e4e8d5ecb68"),
+    ("GPL-3.0", "body", "ac6b52d57c0104e687039148f7b8e370e04c9bb5705bb786f8ef814eb65e8636"),
+    ("LGPL-2.0", "whole", "61af4dcea4e412e8ccfb8877fd2762bd6d962f8d42a9fa2c06cf7b4613f2c908"),
+    ("LGPL-2.0", "body", "504542bce5421b0f5a7e63ddb55443ccb300b27a65ba6bfc1370fed16a3af260"),
+    ("LGPL-2.1", "whole", "4d55922bdeafabde164d75448bbfb0b474bf952bbb541325364010900acd9891"),
+    ("LGPL-2.1", "body", "48d2010e70a815a564f914b0c7c1e80d7a6843793348fed3684c957112fe0aa4"),
+    ("LGPL-3.0", "whole", "aae2b222477171fb64e298e7965e768a9a6f85320646b266c94399ac029d42be"),
+    ("MPL-1.1", "whole", "26ba73e836ecb04fe87d5eca80ca27cff1afa2d7683455be1517bd23b8d27986"),
+    ("MPL-2.0", "whole", "f82071285728ca3ec7685ee9bc4acdae0b8267142a4d20b8f1805eabedb4a98a"),
+)
 LICENSE_NOTICES = (
     ("Apache-2.0", "Licensed under the Apache License, Version 2.0."),
     ("GPL-3.0", "This work is licensed under the GNU General Public License, version 3."),
@@ -83,80 +139,123 @@ LICENSE_NOTICES = (
     ("BSD-3-Clause", "Licensed under the BSD 3-Clause License."),
     ("MPL-2.0", "This Source Code Form is subject to the terms of the Mozilla Public License, v. 2.0."),
 )
-EQUIVALENT = (
-    ("licence", "license"),
+#: Whole words.
+EQUIVALENT_WORDS = (
     ("acknowledgement", "acknowledgment"),
+    ("acknowledgements", "acknowledgments"),
+    ("analogue", "analog"),
     ("artefact", "artifact"),
-    ("authoris", "authoriz"),
+    ("artefacts", "artifacts"),
     ("behaviour", "behavior"),
     ("cancelled", "canceled"),
     ("catalogue", "catalog"),
     ("centre", "center"),
     ("copyright owner", "copyright holder"),
     ("favour", "favor"),
-    ("fulfil ", "fulfill "),
-    ("initialis", "initializ"),
+    ("favourite", "favorite"),
+    ("fulfil", "fulfill"),
+    ("fulfilment", "fulfillment"),
     ("judgement", "judgment"),
     ("labelling", "labeling"),
-    ("merchantability", "merchantability"),
-    ("non infringement", "noninfringement"),
+    ("licence", "license"),
+    ("licences", "licenses"),
+    ("licenced", "licensed"),
+    ("merchantibility", "merchantability"),
     ("non commercial", "noncommercial"),
-    ("optimis", "optimiz"),
-    ("organis", "organiz"),
+    ("non infringement", "noninfringement"),
     ("per cent", "percent"),
     ("programme", "program"),
-    ("recognis", "recogniz"),
+    ("programmes", "programs"),
     ("sub license", "sublicense"),
     ("sub licensable", "sublicensable"),
-    ("utilis", "utiliz"),
+    ("sub licenses", "sublicenses"),
     ("whilst", "while"),
     ("wilful", "willful"),
 )
+#: Beginnings of words.
+EQUIVALENT_STEMS = (
+    ("authoris", "authoriz"),
+    ("customis", "customiz"),
+    ("initialis", "initializ"),
+    ("optimis", "optimiz"),
+    ("organis", "organiz"),
+    ("realis", "realiz"),
+    ("recognis", "recogniz"),
+    ("utilis", "utiliz"),
+)
 # End of fixed values.
 
-_COPYRIGHT_LINE = r"^(copyright( c)?( [0-9]{4}.*| by .*)?|copyright c .*|c [0-9]{4}.*|all rights reserved)$"
+_SIGN = r"(\(c\)|©|&copy;)"
+_YEAR = r"(19|20)[0-9]{2}"
+#: A lower-cased line that only says whose the text is; a line of a licence that begins with "copyright notice" is none.
+COPYRIGHT_LINE = (
+    rf"^[^\p{{L}}\p{{N}}(©&]*((copyright|copr\.?)\s*(:|by\s|{_SIGN}|[\[<{{]).*|{_SIGN}\s*(copyright|by\s).*|copyright\s.*{_YEAR}.*|{_SIGN}.*{_YEAR}.*|all rights reserved[^\p{{L}}\p{{N}}]*)$"
+)
 _NOT_WORD = r"[^\p{L}\p{N}]+"
 
 
+def _words(text: Column) -> Column:
+    return F.btrim(F.regexp_replace(F.lower(text), _NOT_WORD, " "))
+
+
+def canonical_words(text: Column) -> Column:
+    """Lower-cased words parted by one blank, equivalent spellings made one."""
+    # two blanks around each word, so that neighbours do not share one
+    apart = F.concat(F.lit(" "), F.replace(_words(text), F.lit(" "), F.lit("  ")), F.lit(" "))
+    for found, used in EQUIVALENT_WORDS:
+        apart = F.replace(apart, F.lit(f" {found.replace(' ', '  ')} "), F.lit(f" {used.replace(' ', '  ')} "))
+    for found, used in EQUIVALENT_STEMS:
+        apart = F.replace(apart, F.lit(f" {found}"), F.lit(f" {used}"))
+    return F.btrim(F.replace(apart, F.lit("  "), F.lit(" ")))
+
+
 def canonical_line(line: Column) -> Column:
-    """Lower case, words parted by one blank, equivalent spellings joined; a copyright line becomes empty."""
-    marked = F.replace(F.lower(line), F.lit("©"), F.lit(" copyright "))
-    bare = F.btrim(F.regexp_replace(marked, _NOT_WORD, " "))
-    for found, used in EQUIVALENT:
-        if found != used:
-            bare = F.replace(bare, F.lit(found), F.lit(used))
-    return F.regexp_replace(bare, _COPYRIGHT_LINE, "")
+    """The form in which lines are compared with notices."""
+    return F.replace(_words(line), F.lit("licence"), F.lit("license"))
 
 
-def canonical_lines(text: Column) -> Column:
-    return F.filter(F.transform(F.split(text, "\n", -1), canonical_line), lambda line: line != "")
+def _own_lines(text: Column) -> Column:
+    return F.filter(F.split(text, "\n", -1), lambda line: ~F.lower(line).rlike(COPYRIGHT_LINE))
 
 
 def canonical_text(text: Column) -> Column:
-    """All words of the text in canonical form; how it was wrapped into lines does not matter, but for copyright lines."""
-    return F.array_join(canonical_lines(text), " ")
+    """All words of the text but its copyright lines, in canonical form; how it was wrapped into lines does not matter."""
+    return canonical_words(F.array_join(_own_lines(text), " "))
 
 
-def _known(spark, entries: tuple[tuple[str, str], ...]) -> DataFrame:
-    """(license, canonical): a fixed, short table."""
-    return spark.createDataFrame(list(entries), "license string, text string").select("license", canonical_text(F.col("text")).alias("canonical"))
+def text_digests(texts: DataFrame) -> DataFrame:
+    """(license, text) -> (license, canonical_sha256): how entries of LICENSE_DIGESTS are made."""
+    return texts.select("license", F.sha2(canonical_text(F.col("text")), 256).alias("canonical_sha256"))
 
 
-def scan_licenses(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", texts=LICENSE_TEXTS, notices=LICENSE_NOTICES) -> DataFrame:
+def known_digests(spark, texts=None, titles=None, digests=None) -> DataFrame:
+    """(license, canonical_sha256): fixed texts with and without their titles, and fixed digests; a short table."""
+    texts = LICENSE_TEXTS if texts is None else texts
+    titles = LICENSE_TITLES if titles is None else titles
+    rows = [*texts, *[(name, f"{title}\n{text}") for name, text in texts for of, title in titles if of == name]]
+    made = text_digests(spark.createDataFrame(rows, "license string, text string"))
+    fixed = [(name, digest) for name, _, digest in (LICENSE_DIGESTS if digests is None else digests)]
+    return made.unionAll(spark.createDataFrame(fixed, "license string, canonical_sha256 string")).groupBy("canonical_sha256").agg(F.min("license").alias("license"))
+
+
+def scan_licenses(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", texts=None, notices=LICENSE_NOTICES) -> DataFrame:
     """One row per input row: doc_id, canonical_sha256, license, notices.
 
     license names the known licence whose canonical text is the whole document's;
     notices lists, sorted and without repeats, the licences whose notice is a
     line of it. A null text is empty and matches nothing; empty tables give no
-    rows; other columns are ignored. Only the fixed tables are broadcast.
+    rows; other columns are ignored, rows that repeat an id are scanned each.
+    Only the fixed tables are broadcast.
     """
     spark = docs.sparkSession
-    by_digest = _known(spark, texts).select("license", F.sha2("canonical", 256).alias("canonical_sha256")).dropDuplicates(["canonical_sha256"])
-    lines = [(r["canonical"], r["license"]) for r in _known(spark, notices).collect()]
-    wanted = F.create_map(*[F.lit(x) for pair in dict(lines).items() for x in pair])
-    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), canonical_lines(text_or_empty(text_col)).alias("lines"))
-    named = F.array_sort(F.array_distinct(F.filter(F.transform("lines", lambda line: F.try_element_at(wanted, line)), lambda x: x.isNotNull())))
-    scanned = rows.select("doc_id", F.sha2(F.array_join("lines", " "), 256).alias("canonical_sha256"), named.alias("notices"))
+    by_digest = known_digests(spark, texts)
+    marks = spark.createDataFrame(list(notices), "license string, text string").select("license", canonical_line(F.col("text")).alias("line")).collect()
+    wanted = F.create_map(*[F.lit(x) for r in marks for x in (r["line"], r["license"])])
+    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), text_or_empty(text_col).alias("text"))
+    # only a line that speaks of a licence can be a notice
+    lines = F.filter(F.split("text", "\n", -1), lambda line: F.lower(line).rlike("licen[cs]e"))
+    named = F.array_sort(F.array_distinct(F.filter(F.transform(lines, lambda line: F.try_element_at(wanted, canonical_line(line))), lambda x: x.isNotNull())))
+    scanned = rows.select("doc_id", F.sha2(canonical_text(F.col("text")), 256).alias("canonical_sha256"), named.alias("notices"))
     return scanned.join(F.broadcast(by_digest), "canonical_sha256", "left").select("doc_id", "canonical_sha256", "license", "notices")
 
 
@@ -166,30 +265,39 @@ def oracle() -> str:
     def quoted(value: str) -> str:
         return "'" + value.replace("'", "''") + "'"
 
-    def canonical(line: str) -> str:
-        out = f"trim(regexp_replace(replace(lower({line}), '©', ' copyright '), '[^\\p{{L}}\\p{{N}}]+', ' ', 'g'))"
-        for found, used in EQUIVALENT:
-            if found != used:
-                out = f"replace({out}, {quoted(found)}, {quoted(used)})"
-        return f"regexp_replace({out}, {quoted(_COPYRIGHT_LINE)}, '')"
+    def words(text: str) -> str:
+        return f"trim(regexp_replace(lower({text}), {quoted(_NOT_WORD)}, ' ', 'g'))"
+
+    def canonical(text: str) -> str:
+        out = f"' ' || replace({words(text)}, ' ', '  ') || ' '"
+        for found, used in EQUIVALENT_WORDS:
+            out = f"replace({out}, {quoted(' ' + found.replace(' ', '  ') + ' ')}, {quoted(' ' + used.replace(' ', '  ') + ' ')})"
+        for found, used in EQUIVALENT_STEMS:
+            out = f"replace({out}, {quoted(' ' + found)}, {quoted(' ' + used)})"
+        return f"trim(replace({out}, '  ', ' '))"
 
     def table(entries) -> str:
-        return ", ".join(f"({quoted(name)}, {quoted(text)})" for name, text in entries)
+        return ", ".join("(" + ", ".join(map(quoted, entry)) + ")" for entry in entries)
+
+    def line(text: str) -> str:
+        return f"replace({words(text)}, 'licence', 'license')"
 
     return f"""
-        WITH texts(license, text) AS (VALUES {table(LICENSE_TEXTS)}), marks(license, text) AS (VALUES {table(LICENSE_NOTICES)}),
-        cut AS (
-            SELECT 0 AS kind, doc_id, NULL AS license, unnest(string_split(coalesce(text, ''), chr(10))) AS line,
-                   generate_subscripts(string_split(coalesce(text, ''), chr(10)), 1) AS pos FROM documents
-            UNION ALL SELECT 1, NULL, license, unnest(string_split(text, chr(10))), generate_subscripts(string_split(text, chr(10)), 1) FROM texts
-            UNION ALL SELECT 2, row_number() OVER (), license, text, 1 FROM marks
-        ), canon AS (SELECT *, {canonical("line")} AS c FROM cut),
-        docs AS (SELECT doc_id, sha256(coalesce(string_agg(c, ' ' ORDER BY pos) FILTER (c <> ''), '')) AS canonical_sha256 FROM canon WHERE kind = 0 GROUP BY doc_id),
-        known AS (SELECT license, sha256(string_agg(c, ' ' ORDER BY pos) FILTER (c <> '')) AS canonical_sha256 FROM canon WHERE kind = 1 GROUP BY license),
-        named AS (
-            SELECT d.doc_id, string_agg(DISTINCT m.license, ',' ORDER BY m.license) AS notices
-            FROM canon d JOIN canon m ON m.kind = 2 AND d.kind = 0 AND d.c = m.c GROUP BY d.doc_id
+        WITH texts(license, text) AS (VALUES {table(LICENSE_TEXTS)}), titles(license, title) AS (VALUES {table(LICENSE_TITLES)}),
+        marks(license, text) AS (VALUES {table(LICENSE_NOTICES)}), digests(license, part, canonical_sha256) AS (VALUES {table(LICENSE_DIGESTS)}),
+        every AS (
+            SELECT true AS doc, row_number() OVER () AS nr, doc_id, NULL AS license, coalesce(text, '') AS text FROM documents
+            UNION ALL SELECT false, row_number() OVER (), NULL, license, text FROM (
+                SELECT license, text FROM texts UNION ALL SELECT license, title || chr(10) || text FROM titles JOIN texts USING (license))
+        ), cut AS (SELECT *, string_split(text, chr(10)) AS lines FROM every),
+        canon AS (
+            SELECT doc, doc_id, license, lines, sha256({canonical(f"array_to_string(list_filter(lines, lambda l: NOT regexp_matches(lower(l), {quoted(COPYRIGHT_LINE)})), ' ')")}) AS canonical_sha256 FROM cut
+        ), known AS (
+            SELECT canonical_sha256, min(license) AS license FROM (SELECT canonical_sha256, license FROM canon WHERE NOT doc UNION ALL SELECT canonical_sha256, license FROM digests) GROUP BY ALL
+        ), found AS (
+            SELECT doc_id, string_agg(DISTINCT m.license, ',' ORDER BY m.license) AS notices
+            FROM (SELECT doc_id, unnest(lines) AS line FROM canon WHERE doc) l JOIN (SELECT license, {line("text")} AS key FROM marks) m ON {line("l.line")} = m.key GROUP BY doc_id
         )
-        SELECT doc_id, canonical_sha256, known.license AS license, coalesce(notices, '') AS notices
-        FROM docs LEFT JOIN known USING (canonical_sha256) LEFT JOIN named USING (doc_id)
+        SELECT doc_id, canon.canonical_sha256, known.license AS license, coalesce(notices, '') AS notices
+        FROM canon LEFT JOIN known USING (canonical_sha256) LEFT JOIN found USING (doc_id) WHERE doc
     """
