@@ -509,6 +509,21 @@ def test_toxicity(spark):
     assert toxicity.score_toxicity(df.limit(0), marks).count() == 0
 
 
+def test_telling_words_by_rate():
+    rng = random.Random(4)
+    plain = [_text(rng, 60).encode() for _ in range(400)]
+    rude = []
+    for d in plain[:200]:
+        w = d.split()
+        w.insert(rng.randrange(60), b"scumnugget,")
+        rude.append(b" ".join(w))
+    # a quotation in an ordinary document does not free the word, and copies of one text tell nothing
+    quoted = [*plain[200:], b"he said scumnugget to me"]
+    copies = [b"one rare copy of a text"] * 50
+    assert toxicity.telling_words(rude + copies, quoted) == {b"scumnugget"}
+    assert all(b"scumnugget" in w and len(w.split()) <= 3 for w in toxicity.telling_windows(rude + copies, quoted))
+
+
 def test_quality(spark):
     def junk(rng, words):
         return " ".join(w.upper() + "!!" for w in words[:60]) if rng.random() < 0.5 else " ".join(w for w in words[:10] for _ in range(12))

@@ -1,12 +1,15 @@
 """Toxicity by compression distance.
 
 Two zstandard dictionaries are trained, one on toxic and one on ordinary text.
-Each class's training text is what sets it apart: words that several of its
-documents hold and the other class's sample does not; both dictionaries start
-with the same ordinary text, so that windows of neither kind compress alike. A
-document's windows are compressed with both; how many bytes the toxic
-dictionary saves, over all windows and over the best ones, is calibrated on
-labelled rows into a probability, for classes as frequent as in the sample.
+A toxic document is mostly ordinary prose, so dictionaries of whole documents
+differ by chance alone; each class's dictionary is therefore trained on the
+windows around words whose rate in its documents is surely several times their
+rate in the other class's. Both start with the same ordinary text, so that
+windows of neither kind compress alike. A document's windows are compressed
+with both, and what the toxic dictionary saves is compared with thresholds that
+are calibrated on labelled rows of their own: how many windows pass what hardly
+any ordinary window passes, and by how much the best ones do, become a
+probability, for classes as frequent as in the sample.
 """
 
 from __future__ import annotations
@@ -29,6 +32,13 @@ BASE_BYTES = 100_000
 DICTIONARY_BYTES = 2048
 LEAST_DOCUMENTS = 3
 LEAST_SHARE = 0.01
+#: How many times more frequent a telling word is, at the lower end of its rate's confidence interval.
+RATE_RATIO = 8.0
+CONFIDENCE = 2.0
+#: Words on each side of a telling one that its training window takes along.
+CONTEXT = 1
+#: Shares of ordinary windows below the calibrated thresholds.
+QUIET = (0.97, 0.99, 0.997, 0.999)
 STRIP = b".,!?;:\"'()"
 
 
@@ -48,27 +58,51 @@ def _word(raw: bytes) -> bytes:
     return raw.strip(STRIP)
 
 
-def telling_text(mine: list[bytes], other: list[bytes], least: int = LEAST_DOCUMENTS) -> list[bytes]:
-    """Each document's words that a hundredth of its class's documents hold (three at least) and the other class does not."""
-    least = max(least, math.ceil(LEAST_SHARE * len(mine)))
-    seen = {_word(w) for d in other for w in d.split()}
-    held = Counter(w for d in mine for w in {_word(x) for x in d.split()})
+def _held(docs: list[bytes]) -> Counter:
+    """In how many documents each word stands; one that always has the same neighbours, as in copies, counts once for them."""
+    documents, contexts = Counter(), set()
+    for d in docs:
+        words = [_word(x) for x in d.split()]
+        documents.update(set(words))
+        contexts.update(zip([b"", *words], words, [*words[1:], b""]))
+    places = Counter(w for _, w, _ in contexts)
+    return Counter({w: min(k, places[w]) for w, k in documents.items()})
+
+
+def telling_words(mine: list[bytes], other: list[bytes]) -> set[bytes]:
+    """Words that a hundredth of the class's documents hold (three at least), surely RATE_RATIO times as often as the other class's."""
+    least = max(LEAST_DOCUMENTS, math.ceil(LEAST_SHARE * len(mine)))
+    held, there = _held(mine), _held(other)
+    n = len(mine)
+    out = set()
+    for w, k in held.items():
+        if w and k >= least:
+            rate = k / n
+            surely = rate - CONFIDENCE * math.sqrt(rate * (1 - rate) / n + 1 / n**2)
+            if surely > RATE_RATIO * (there[w] + 1) / (len(other) + 2):
+                out.add(w)
+    return out
+
+
+def telling_windows(mine: list[bytes], other: list[bytes]) -> list[bytes]:
+    """The class's windows around its telling words."""
+    wanted = telling_words(mine, other)
     out = []
     for d in mine:
-        words = [w for w in map(_word, d.split()) if len(w) >= 4 and held[w] >= least and w not in seen]
-        if words:
-            out.append(b" " + b" ".join(words) + b" ")
+        words = d.split()
+        for i, w in enumerate(words):
+            if _word(w) in wanted:
+                out.append(b" " + b" ".join(words[max(0, i - CONTEXT) : i + 1 + CONTEXT]) + b" ")
     return out
 
 
 def _dictionary(samples: list[bytes]) -> bytes:
     import zstandard
 
-    pieces = [w for s in samples for w in windows(s, 64)]
     try:
-        return zstandard.train_dictionary(DICTIONARY_BYTES, pieces, k=16, d=6).as_bytes()
+        return zstandard.train_dictionary(DICTIONARY_BYTES, samples, k=16, d=6).as_bytes()
     except zstandard.ZstdError:  # too little text to train on
-        return b"".join(pieces)[:DICTIONARY_BYTES]
+        return b"".join(samples)[:DICTIONARY_BYTES]
 
 
 class CompressionClassifier:
@@ -76,11 +110,12 @@ class CompressionClassifier:
 
     def __init__(self):
         self.toxic = self.ordinary = b""
+        self.thresholds: list[float] = [math.inf] * len(QUIET)
         self.calibration: tuple | None = None
         self._pair = None
 
     def __getstate__(self):
-        return {"toxic": self.toxic, "ordinary": self.ordinary, "calibration": self.calibration, "_pair": None}
+        return {"toxic": self.toxic, "ordinary": self.ordinary, "thresholds": self.thresholds, "calibration": self.calibration, "_pair": None}
 
     def _compressors(self):
         if self._pair is None:
@@ -95,26 +130,20 @@ class CompressionClassifier:
             self._pair = made
         return self._pair
 
-    def features(self, text: str) -> list[float]:
+    def saved(self, text: str) -> np.ndarray:
+        """Bytes that the toxic dictionary saves on each window."""
         by_ordinary, by_toxic = self._compressors()
-        saved = np.array([len(by_ordinary(w)) - len(by_toxic(w)) for w in windows(text.lower().encode("utf-8", "replace"))], np.float64)
+        return np.array([len(by_ordinary(w)) - len(by_toxic(w)) for w in windows(text.lower().encode("utf-8", "replace"))], np.float64)
+
+    def features(self, text: str) -> list[float]:
+        saved = self.saved(text)
         best = np.sort(saved)[::-1]
         n = len(best)
-        return [
-            saved.mean(),
-            best[0],
-            best[: max(1, n // 4)].mean(),
-            best[: max(1, n // 10)].mean(),
-            (saved >= 3).mean(),
-            (saved >= 5).mean(),
-            (saved >= 7).mean(),
-            np.log1p((saved >= 5).sum()),
-            np.log1p((saved >= 9).sum()),
-            -(saved <= -5).mean(),
-        ]
+        passed = [(saved > t).sum() for t in self.thresholds]
+        return [saved.mean(), best[0], best[: max(1, n // 4)].mean(), best[: max(1, n // 10)].mean(), *[np.log1p(k) for k in passed], *[k / n for k in passed], (saved < -max(2.0, self.thresholds[0])).mean()]
 
     def fit(self, rows: list[tuple[int, str, int]]) -> CompressionClassifier:
-        """Dictionaries from three quarters of the rows, calibration on the rest."""
+        """Dictionaries from three quarters of the rows, thresholds and calibration from the rest."""
         raw = [(t.lower().encode("utf-8", "replace"), y) for i, (_, t, y) in enumerate(rows) if i % 4]
         toxic, ordinary = [r for r, y in raw if y], [r for r, y in raw if not y]
         held = [r for i, r in enumerate(rows) if i % 4 == 0]
@@ -122,8 +151,10 @@ class CompressionClassifier:
             return self
         every = b"".join(windows(d, 400)[0] for d in ordinary)
         base = every[:BASE_BYTES]
-        self.toxic = base + _dictionary(telling_text(toxic, ordinary))
-        self.ordinary = base + _dictionary(telling_text(ordinary, toxic))
+        self.toxic = base + _dictionary(telling_windows(toxic, ordinary))
+        self.ordinary = base + _dictionary(telling_windows(ordinary, toxic))
+        quiet = np.concatenate([self.saved(t) for _, t, y in held if not y])
+        self.thresholds = [float(np.quantile(quiet, share)) for share in QUIET]
         self.calibration = fit_logistic(np.array([self.features(t) for _, t, _ in held]), np.array([y for *_, y in held], float))
         return self
 
