@@ -144,7 +144,7 @@ def test_hash(spark):
     stat = measures.hash_uniformity(rows, h).first()
     assert stat["keys"] == 4000 and stat["chi_square"] < 60
     wide = rows.select((rows["node_id"] + (1 << 60)).alias("node_id"))
-    assert distribute(wide, h, placement="wide").where("machine < 0 OR machine >= 16").count() == 0
+    assert distribute(wide, h).where("machine < 0 OR machine >= 16").count() == 0
     weighted = rows.selectExpr("node_id", "1 AS w")
     assert is_distributable(weighted, "w", 4000, 16)
     assert measures.maximum_load(weighted, h) < 4000 / 16 * math.log2(4000)

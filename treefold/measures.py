@@ -5,7 +5,8 @@ from __future__ import annotations
 import math
 import re
 
-from pyspark.sql import DataFrame, SparkSession, Window
+import pyarrow as pa
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .model import METRICS
@@ -151,7 +152,7 @@ def check_decomposition(bt: DataFrame, dec: Decomposition, stop_factor: int = 14
     }
 
 
-# ---- plans and partitions ----
+# ---- rounds, space, data sent, operations ----
 
 
 def exchanges(df: DataFrame) -> int:
@@ -160,6 +161,81 @@ def exchanges(df: DataFrame) -> int:
     return len(re.findall(r"\bExchange\b|BroadcastExchange", text))
 
 
+def decomposition_rounds(dec: Decomposition) -> DataFrame:
+    """(turn, components, longest_walk, rounds): rounds are the communication steps of each turn of the loop.
+
+    Counting children, sums and new parents are one each, walks take log2 of the longest, rounded up.
+    """
+    by_turn: dict[int, dict[str, float]] = {}
+    for turn, name, value in dec.metrics:
+        by_turn.setdefault(turn, {})[name] = value
+    rows = []
+    for turn, v in sorted(by_turn.items()):
+        if "components" in v:
+            walk = int(v.get("longest_walk", 0))
+            rows.append((turn, int(v["components"]), walk, 3 + math.ceil(math.log2(1 + walk))))
+    return dec.comp.sparkSession.createDataFrame(rows, "turn int, components long, longest_walk long, rounds int")
+
+
+def row_bytes(df: DataFrame) -> Column:
+    """Bytes of a row's values: 8 for a number and for each element of an array, the octets of a string or binary."""
+    total = F.lit(0).cast("long")
+    for name, kind in df.dtypes:
+        if kind.startswith("array"):
+            total = total + F.coalesce(F.size(name), F.lit(0)) * 8
+        elif kind in ("string", "binary"):
+            total = total + F.coalesce(F.octet_length(name), F.lit(0))
+        else:
+            total = total + 8
+    return total
+
+
+def machine_space(df: DataFrame, h: PolyHash, key: str = "node_id") -> DataFrame:
+    """(machine, rows, bytes) under the placement of h; the sums are the total space."""
+    return df.groupBy(h.column(F.col(key)).cast("long").alias("machine")).agg(F.count(F.lit(1)).alias("rows"), F.sum(row_bytes(df)).alias("bytes"))
+
+
+def machine_traffic(rows: DataFrame, h: PolyHash, source: str = "node_id", target: str = "parent_id") -> DataFrame:
+    """(machine, sent, received) when every row sends one message from the machine of source to that of target.
+
+    Messages inside a machine are free; rows without a target send none.
+    """
+    ends = rows.where(F.col(target).isNotNull()).select(h.column(F.col(source)).cast("long").alias("a"), h.column(F.col(target)).cast("long").alias("b")).where("a <> b")
+    pairs = ends.groupBy("a", "b").agg(F.count(F.lit(1)).alias("n"))
+    zero = F.lit(0).cast("long")
+    sent = F.struct(F.col("a").alias("machine"), F.col("n").alias("sent"), zero.alias("received"))
+    received = F.struct(F.col("b").alias("machine"), zero.alias("sent"), F.col("n").alias("received"))
+    return pairs.select(F.explode(F.array(sent, received)).alias("e")).select("e.*").groupBy("machine").agg(F.sum("sent").alias("sent"), F.sum("received").alias("received"))
+
+
+def merge_work(ready, schedule: DataFrame, block: int) -> DataFrame:
+    """(tree_id, step, half, out_part, left_n, right_n, operations, block_pairs) of a schedule, from the pieces' sizes alone.
+
+    A part's vectors have one element more than it has original vertices; a merge multiplies
+    each element of one side with each of the other, for a pair of labellings, and a grid of
+    blocks deals that to block_pairs tasks. The plan is about 14 m rows a tree, so a tree's
+    merges are followed in one task.
+    """
+    own = ready.bt.where("NOT is_aux").select("tree_id", "node_id").join(ready.dec.assign, ["tree_id", "node_id"]).groupBy("tree_id", "comp_id").agg(F.count(F.lit(1)).alias("n"))
+    none, no_step = F.lit(None).cast("long"), F.lit(0)
+    sizes = ready.dec.comp.select("tree_id", "comp_id").join(own, ["tree_id", "comp_id"], "left")
+    sizes = sizes.select("tree_id", no_step.alias("step"), no_step.alias("half"), F.col("comp_id").alias("left_part"), none.alias("right_part"), none.alias("out_part"), F.coalesce("n", F.lit(0)).alias("n"))
+    steps = schedule.select("tree_id", "step", "half", "left_part", "right_part", "out_part", none.alias("n"))
+
+    def run(table: pa.Table) -> pa.Table:
+        rows = table.to_pylist()
+        size = {r["left_part"]: r["n"] for r in rows if r["right_part"] is None}
+        out = []
+        for r in sorted((r for r in rows if r["right_part"] is not None), key=lambda r: (r["step"], r["half"], r["right_part"])):
+            a, b = size.pop(r["left_part"]), size.pop(r["right_part"])
+            size[r["out_part"]] = a + b
+            out.append((r["tree_id"], r["step"], r["half"], r["out_part"], a + 1, b + 1, (a + 1) * (b + 1), -(-(a + 1) // block) * -(-(b + 1) // block)))
+        kinds = [pa.int64(), pa.int32(), pa.int32(), *[pa.int64()] * 5]
+        return pa.table([pa.array([o[i] for o in out], k) for i, k in enumerate(kinds)], ["tree_id", "step", "half", "out_part", "left_n", "right_n", "operations", "block_pairs"])
+
+    return sizes.unionAll(steps).groupBy("tree_id").applyInArrow(run, "tree_id long, step int, half int, out_part long, left_n long, right_n long, operations long, block_pairs long")
+
+
 def partition_rows(df: DataFrame) -> DataFrame:
     """(partition, rows): space by partition."""
     return df.groupBy(F.spark_partition_id().alias("partition")).agg(F.count(F.lit(1)).alias("rows"))

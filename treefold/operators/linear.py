@@ -28,6 +28,8 @@ from ..plans.iterate import materialise, prepare
 from .finite import Prepared, _sorted_runs, piece_rows, prepare_tree
 
 INF = 1 << 60
+#: Vectors of at most so many elements in all are merged in one task for each tree.
+LOCAL_FLOOR = 20_000
 VECBLK = "tree_id long, part_id long, border array<long>, colour int, start long, vals array<long>"
 
 
@@ -225,24 +227,36 @@ def _open_ends(schedule: DataFrame, edges: DataFrame) -> DataFrame:
     return merges.join(closing, ["tree_id", "child_comp"], "left").withColumn("closed", F.coalesce("closed", F.expr("cast(array() as array<bigint>)")))
 
 
+def _lists(column: pa.Array) -> tuple[np.ndarray, list[int]]:
+    """All values of a list column, and where each list begins and ends, without a Python object for each value."""
+    return column.values.to_numpy(zero_copy_only=False), column.offsets.to_pylist()
+
+
 def _pairs(problem: VectorProblem):
     sign = 1 if problem.sense == "min" else -1
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            rows: list[list] = [[], [], [], [], [], []]
-            for r in batch.to_pylist():
+            small = [n for n in batch.schema.names if n not in ("p_vals", "q_vals")]
+            p_all, p_at = _lists(batch.column("p_vals"))
+            q_all, q_at = _lists(batch.column("q_vals"))
+            keep: list[list] = [[], [], [], [], []]
+            vectors = []
+            for i, r in enumerate(batch.select(small).to_pylist()):
                 x = r["p_colour"] >> r["p_border"].index(r["upper_end"]) & 1
                 y = r["q_colour"] >> r["q_border"].index(r["lower_end"]) & 1
-                got = pair(problem, np.array(r["p_vals"], np.int64), r["p_start"], r["p_colour"], x, np.array(r["q_vals"], np.int64), r["q_start"], r["q_colour"], y, sign * r["w"], r["helper"])
+                got = pair(problem, p_all[p_at[i] : p_at[i + 1]], r["p_start"], r["p_colour"], x, q_all[q_at[i] : q_at[i + 1]], r["q_start"], r["q_colour"], y, sign * r["w"], r["helper"])
                 if got is None:
                     continue
                 border = joint_border(r["p_border"], r["q_border"], set(r["closed"]))
                 colour = project(r["p_colour"], r["p_border"], border) | project(r["q_colour"], r["q_border"], border)
-                for column, value in zip(rows, (r["tree_id"], r["out_part"], border, colour, got[0], got[1])):
+                for column, value in zip(keep, (r["tree_id"], r["out_part"], border, colour, got[0])):
                     column.append(value)
-            types = [pa.int64(), pa.int64(), pa.list_(pa.int64()), pa.int32(), pa.int64(), pa.list_(pa.int64())]
-            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(rows, types)], ["tree_id", "part_id", "border", "colour", "start", "vals"])
+                vectors.append(got[1])
+            types = [pa.int64(), pa.int64(), pa.list_(pa.int64()), pa.int32(), pa.int64()]
+            edges = np.cumsum([0, *map(len, vectors)]).astype(np.int32)
+            vals = pa.ListArray.from_arrays(pa.array(edges), pa.array(np.concatenate(vectors) if vectors else np.zeros(0, np.int64)))
+            yield pa.RecordBatch.from_arrays([*[pa.array(c, t) for c, t in zip(keep, types)], vals], ["tree_id", "part_id", "border", "colour", "start", "vals"])
 
     return run
 
@@ -262,11 +276,11 @@ def unify_round(pairs: DataFrame, block: int) -> DataFrame:
     elements = pairs.select("tree_id", "part_id", "border", "colour", "start", F.posexplode("vals").alias("at", "val")).withColumn("idx", F.col("start") + F.col("at"))
     least = elements.groupBy("tree_id", "part_id", "border", "colour", "idx").agg(F.min("val").alias("val"))
     blocks = least.groupBy("tree_id", "part_id", "border", "colour", F.floor(F.col("idx") / block).alias("no")).agg(F.array_sort(F.collect_list(F.struct("idx", "val"))).alias("items"))
-    # indexes that no pair reached are impossible
+    # indexes that no pair reached are impossible: they are sorted in
     first, last = F.col("items")[0]["idx"], F.element_at("items", -1)["idx"]
-    dense = F.when(F.size("items") == last - first + 1, F.transform("items", lambda x: x["val"])).otherwise(
-        F.transform(F.sequence(first, last), lambda i: F.coalesce(F.get(F.filter("items", lambda x: x["idx"] == i), 0)["val"], F.lit(INF)))
-    )
+    missing = F.array_except(F.sequence(first, last), F.transform("items", lambda x: x["idx"]))
+    filled = F.array_sort(F.concat("items", F.transform(missing, lambda i: F.struct(i.alias("idx"), F.lit(INF).alias("val")))))
+    dense = F.transform(F.when(F.size("items") == last - first + 1, F.col("items")).otherwise(filled), lambda x: x["val"])
     return blocks.select("tree_id", "part_id", "border", "colour", first.alias("start"), dense.alias("vals"))
 
 
@@ -320,11 +334,12 @@ def _levels_schedule(comp: DataFrame) -> DataFrame:
 FINISHES = ("grid", "pairs", "levels", "master")
 
 
-def solve_vectors(tree: DataFrame | Prepared, problem: VectorProblem, m: int = 8, seed: int = 0, finish: str = "grid", block: int | None = None, local_elements: int = 200_000, rules: Rules = Rules(), shape: str = "balanced") -> DataFrame:
+def solve_vectors(tree: DataFrame | Prepared, problem: VectorProblem, m: int = 8, seed: int = 0, finish: str = "grid", block: int | None = None, local_elements: int | None = None, rules: Rules = Rules(), shape: str = "balanced") -> DataFrame:
     """(tree_id, idx, value) for every number of original vertices labelled 1; infeasible numbers are left out.
 
     finish 'grid': scheduled merges on a grid of blocks; merging goes to one task for each
-    tree once all vectors together have at most local_elements elements (0: never).
+    tree once all vectors together have at most local_elements elements (None: what one
+    machine may hold, n^(4/3)/m, LOCAL_FLOOR at least; 0: never).
     'pairs': scheduled, each merge whole in one task. 'levels': bottom-up order. 'master':
     all vectors of a tree in one task at once. The last three are baselines.
     """
@@ -332,6 +347,8 @@ def solve_vectors(tree: DataFrame | Prepared, problem: VectorProblem, m: int = 8
         raise ValueError(f"finish must be one of {FINISHES}")
     ready = tree if isinstance(tree, Prepared) else prepare_tree(tree, m, seed, shape, rules=rules)
     length = block or max(256, -(-ready.dec.n // max(1, int(ready.dec.m**0.5))))
+    if local_elements is None:
+        local_elements = max(LOCAL_FLOOR, int(ready.dec.n ** (4 / 3) / max(1, ready.dec.m)))
     blocks = materialise(local_vectors(ready, problem, length), "vectors")
     schedule = _levels_schedule(ready.dec.comp) if finish == "levels" else plan.build(ready.dec.comp)
     merges = materialise(_open_ends(schedule, merge_edges(ready)), "merges")

@@ -25,6 +25,13 @@ TREES: dict[str, tuple[str, str | None]] = {
             UNION ALL SELECT {5 * LEVEL} + rank, {4 * LEVEL} + l_orderkey, w FROM ({_LINES}))""",
         None,
     ),
+    "customers": (
+        f"""SELECT tree AS tree_id, node AS node_id, parent AS parent_id, w AS node_w, w AS edge_w FROM (
+            SELECT c_custkey AS tree, {3 * LEVEL} + c_custkey AS node, NULL AS parent, {_cents('abs(c_acctbal)')} AS w FROM customer
+            UNION ALL SELECT o_custkey, {4 * LEVEL} + o_orderkey, {3 * LEVEL} + o_custkey, {_cents('o_totalprice')} FROM orders
+            UNION ALL SELECT o_custkey, {5 * LEVEL} + rank, {4 * LEVEL} + l_orderkey, w FROM ({_LINES}) JOIN orders ON o_orderkey = l_orderkey)""",
+        f"CASE WHEN node_id < {4 * LEVEL} THEN 0 WHEN node_id < {5 * LEVEL} THEN 1 ELSE 2 END",
+    ),
     "chain_all": (f"SELECT 0 AS tree_id, id AS node_id, CASE WHEN id > 0 THEN id - 1 END AS parent_id, w AS node_w, w AS edge_w FROM ({_EVENTS})", "node_id"),
     "chain_user": (
         f"SELECT user_id AS tree_id, id AS node_id, lag(id) OVER (PARTITION BY user_id ORDER BY ts, id) AS parent_id, w AS node_w, w AS edge_w FROM ({_EVENTS})",
@@ -56,11 +63,10 @@ TREES: dict[str, tuple[str, str | None]] = {
 }
 
 
-def levels(kind: str, rows: int | None = None) -> str:
+def levels(kind: str) -> str:
     """CTEs tree and lev (tree with depth d)."""
     select, depth = TREES[kind]
-    cut = f" WHERE node_id < {rows}" if rows else ""
-    tree = f"tree AS MATERIALIZED (SELECT cast(tree_id AS BIGINT) AS tree_id, cast(node_id AS BIGINT) AS node_id, cast(parent_id AS BIGINT) AS parent_id, cast(node_w AS BIGINT) AS node_w, cast(edge_w AS BIGINT) AS edge_w FROM ({select}){cut})"
+    tree = f"tree AS MATERIALIZED (SELECT cast(tree_id AS BIGINT) AS tree_id, cast(node_id AS BIGINT) AS node_id, cast(parent_id AS BIGINT) AS parent_id, cast(node_w AS BIGINT) AS node_w, cast(edge_w AS BIGINT) AS edge_w FROM ({select}))"
     if depth:
         return f"{tree}, lev AS MATERIALIZED (SELECT *, cast({depth} AS BIGINT) AS d FROM tree)"
     return f"""{tree}, lev AS (
@@ -69,6 +75,9 @@ def levels(kind: str, rows: int | None = None) -> str:
 
 
 _INF = "1000000000000000"
+_WITHIN = ["1 + coalesce(sq, 0)"]
+_WITHIN.append(f"least({_WITHIN[0]}, coalesce(sp + near, {_INF}))")
+_WITHIN.append(f"least({_WITHIN[1]}, coalesce(sc + far, {_INF}))")
 #: problem -> (state columns of a vertex from its children's aggregates, aggregates over children, answer).
 #: Aggregates are null for leaves. w is the vertex's weight, e the edge above the child.
 RULES: dict[str, tuple[dict[str, str], dict[str, str], str]] = {
@@ -85,6 +94,28 @@ RULES: dict[str, tuple[dict[str, str], dict[str, str], str]] = {
         {"p1": "max(a + e)", "p2": "coalesce((max(a + e, 2))[2], 0)", "below": "max(b)"},
         "greatest(a, b)",
     ),
+    "mids": (
+        {"a": "w + coalesce(sbc, 0)", "b": f"least(coalesce(s2 + gain, {_INF}), {_INF})", "c": f"least(coalesce(sb, 0), {_INF})"},
+        {"sbc": "sum(least(b, c))", "s2": "sum(least(a, b))", "gain": "min(a - least(a, b))", "sb": "sum(b)"},
+        "least(a, b)",
+    ),
+    "mec": (
+        {"a": f"least(coalesce(sn + gain, {_INF}), {_INF})", "b": f"least(coalesce(sa, 0), {_INF})"},
+        {"sn": "sum(least(a, e + least(a, b)))", "gain": "min(e + least(a, b) - least(a, e + least(a, b)))", "sa": "sum(a)"},
+        "a",
+    ),
+    "colour3": (
+        {"a": "coalesce(sbc, 0)", "b": "w + coalesce(sac, 0)", "c": "w + node_w + coalesce(sab, 0)"},
+        {"sbc": "sum(least(b, c))", "sac": "sum(least(a, c))", "sab": "sum(least(a, b))"},
+        "least(a, b, c)",
+    ),
+    # served within two edges: a, b, c have a centre at most 0, 1, 2 edges below; of p and q only the
+    # vertex itself, or what lies one edge below too, may still be unserved
+    "domination2": (
+        {"a": _WITHIN[0], "b": _WITHIN[1], "c": _WITHIN[2], "p": f"least({_WITHIN[2]}, coalesce(sc, 0))", "q": f"least({_WITHIN[2]}, coalesce(sc, 0), coalesce(sp, 0))"},
+        {"sq": "sum(q)", "sp": "sum(p)", "sc": "sum(c)", "near": "min(a - p)", "far": "min(b - c)"},
+        "c",
+    ),
     "height": ({"a": "coalesce(h, -1) + 1"}, {"h": "max(a)"}, "a"),
     "subtree_sum": ({"a": "w + coalesce(s, 0)"}, {"s": "sum(a)"}, "a"),
     "subtree_size": ({"a": "1 + coalesce(s, 0)"}, {"s": "sum(a)"}, "a"),
@@ -92,7 +123,7 @@ RULES: dict[str, tuple[dict[str, str], dict[str, str], str]] = {
 UNIT = {"mcm": "mwm"}
 
 
-def bottom_up(kind: str, problem: str, rows: int | None = None) -> str:
+def bottom_up(kind: str, problem: str) -> str:
     """CTEs up to `up`: one row for every vertex with its states."""
     unit = problem in UNIT
     states, aggs, _ = RULES[UNIT.get(problem, problem)]
@@ -100,7 +131,7 @@ def bottom_up(kind: str, problem: str, rows: int | None = None) -> str:
     columns = ", ".join(f"cast({x.replace('w + ', w + ' + ', 1) if x.startswith('w + ') else x} AS BIGINT) AS {s}" for s, x in states.items())
     leaf_aggs = ", ".join(f"NULL AS {a}" for a in aggs)
     group = ", ".join(f"{x} AS {a}" for a, x in aggs.items())
-    return f"""{levels(kind, rows)}, up AS (
+    return f"""{levels(kind)}, up AS (
         SELECT l.tree_id, l.node_id, l.parent_id, l.edge_w, l.d, {columns}
         FROM (SELECT * FROM lev WHERE d = (SELECT max(d) FROM lev)) l, (SELECT {leaf_aggs}) c
         UNION ALL
@@ -116,6 +147,10 @@ NAMES = {
     "mis": "maximum_independent_set",
     "mds": "minimum_dominating_set",
     "lpath": "longest_path",
+    "mids": "minimum_independent_dominating_set",
+    "mec": "minimum_edge_cover",
+    "colour3": "colouring_3",
+    "domination2": "domination_2_hops",
     "height": "height",
     "subtree_sum": "subtree_sum",
     "subtree_size": "subtree_size",
@@ -132,18 +167,58 @@ def vertex_values(kind: str, problem: str) -> str:
     return f"WITH RECURSIVE {bottom_up(kind, problem)} SELECT tree_id, node_id, cast({answer} AS BIGINT) AS value FROM up"
 
 
-def distances(kind: str, rows: int) -> str:
-    """CTEs up to dist(x, y, d): all distances of the first rows of a tree, over common ancestors."""
-    return f"""{levels(kind, rows)}, anc AS (
-        SELECT node_id AS x, node_id AS a, cast(0 AS BIGINT) AS d FROM tree
-        UNION ALL SELECT anc.x, t.parent_id, anc.d + t.edge_w FROM anc JOIN tree t ON t.node_id = anc.a WHERE t.parent_id IS NOT NULL),
-        dist AS MATERIALIZED (SELECT p.x AS x, q.x AS y, min(p.d + q.d) AS d FROM anc p JOIN anc q ON p.a = q.a GROUP BY p.x, q.x)"""
+def distances(kind: str) -> str:
+    """CTEs up to dist(tree_id, x, y, d): all distances inside every tree of a forest, over common ancestors."""
+    return f"""{levels(kind)}, anc AS (
+        SELECT tree_id, node_id AS x, node_id AS a, cast(0 AS BIGINT) AS d FROM tree
+        UNION ALL SELECT anc.tree_id, anc.x, t.parent_id, anc.d + t.edge_w FROM anc JOIN tree t ON t.tree_id = anc.tree_id AND t.node_id = anc.a WHERE t.parent_id IS NOT NULL),
+        dist AS MATERIALIZED (SELECT p.tree_id, p.x AS x, q.x AS y, min(p.d + q.d) AS d FROM anc p JOIN anc q ON p.tree_id = q.tree_id AND p.a = q.a GROUP BY p.tree_id, p.x, q.x)"""
+
+
+def served(kind: str, total: str) -> str:
+    """Least farthest (total 'max') or summed ('sum') distance of every tree's vertices to the nearer of two of them."""
+    return f"""WITH RECURSIVE {distances(kind)}
+        SELECT tree_id, min(cost)::BIGINT AS value FROM (
+            SELECT a.tree_id, {total}(least(a.d, b.d)) AS cost FROM dist a JOIN dist b ON a.tree_id = b.tree_id AND a.y = b.y AND a.x <= b.x GROUP BY a.tree_id, a.x, b.x) GROUP BY tree_id"""
+
+
+def least_diameter(kind: str, k: int) -> str:
+    """Least diameter of k vertices of every tree: those no farther from both ends of a path than it is long; null where there are fewer."""
+    return f"""WITH RECURSIVE {distances(kind)}, held AS (
+            SELECT e.tree_id, e.x, e.y, any_value(e.d) AS d, count(*) AS n FROM dist e
+            JOIN dist a ON a.tree_id = e.tree_id AND a.x = e.x AND a.d <= e.d JOIN dist b ON b.tree_id = e.tree_id AND b.x = e.y AND b.y = a.y AND b.d <= e.d
+            WHERE e.x <= e.y GROUP BY e.tree_id, e.x, e.y)
+        SELECT t.tree_id, (min(d) FILTER (n >= {k}))::BIGINT AS value FROM (SELECT DISTINCT tree_id FROM tree) t LEFT JOIN held USING (tree_id) GROUP BY t.tree_id"""
+
+
+def chain_positions(kind: str) -> str:
+    """CTEs up to pos(tree_id, i, place, node_w, edge_w, n): vertices of a forest of chains by place, with their distance from the root."""
+    return f"""{levels(kind)}, pos AS MATERIALIZED (
+        SELECT tree_id, d AS i, coalesce(sum(CASE WHEN d > 0 THEN edge_w END) OVER (PARTITION BY tree_id ORDER BY d), 0)::BIGINT AS place, node_w, edge_w, count(*) OVER (PARTITION BY tree_id) AS n FROM lev)"""
 
 
-def chain_profile(rows: int) -> str:
-    """CTEs up to prof(n, b, v): cheapest cut of the first rows of the time chain with b vertices on one side, by position."""
-    return f"""{levels("chain_all", rows)}, step AS (
-        SELECT cast(0 AS BIGINT) AS i, c AS colour, cast(c AS BIGINT) AS b, cast(0 AS BIGINT) AS v FROM (VALUES (0), (1)) t(c)
+def chain_profiles(kind: str) -> str:
+    """CTEs up to prof(tree_id, idx, v): cheapest cut of every chain of a forest with idx vertices on one side."""
+    return f"""{chain_positions(kind)}, step AS (
+        SELECT tree_id, cast(0 AS BIGINT) AS i, c AS colour, cast(c AS BIGINT) AS b, cast(0 AS BIGINT) AS v FROM pos, (VALUES (0), (1)) t(c) WHERE i = 0
         UNION ALL
-        SELECT s.i + 1, n.c, s.b + n.c, min(s.v + CASE WHEN n.c <> s.colour THEN t.edge_w ELSE 0 END)
-        FROM step s JOIN tree t ON t.node_id = s.i + 1, (VALUES (0), (1)) n(c) GROUP BY s.i + 1, n.c, s.b + n.c)"""
+        SELECT s.tree_id, s.i + 1, x.c, s.b + x.c, min(s.v + CASE WHEN x.c <> s.colour THEN t.edge_w ELSE 0 END)
+        FROM step s JOIN pos t ON t.tree_id = s.tree_id AND t.i = s.i + 1, (VALUES (0), (1)) x(c) GROUP BY s.tree_id, s.i + 1, x.c, s.b + x.c),
+        prof AS (SELECT s.tree_id, s.b AS idx, min(s.v) AS v, any_value(p.n) AS n FROM step s JOIN pos p ON p.tree_id = s.tree_id AND p.i = s.i AND s.i = p.n - 1 GROUP BY s.tree_id, s.b)"""
+
+
+def chain_facilities(kind: str) -> str:
+    """Cheapest opening and serving of every chain: stretches of vertices, each served by one of them."""
+    return f"""WITH RECURSIVE {chain_positions(kind)}, sums AS (
+            SELECT *, sum(place) OVER (PARTITION BY tree_id ORDER BY i)::BIGINT AS s FROM pos
+        ), stretch AS MATERIALIZED (
+            SELECT a.tree_id, a.i AS lo, b.i AS hi,
+                   min(u.node_w + (u.i - a.i + 1) * u.place - (u.s - a.s + a.place) + (b.s - u.s) - (b.i - u.i) * u.place)::BIGINT AS cost
+            FROM sums a JOIN sums b ON a.tree_id = b.tree_id AND a.i <= b.i JOIN sums u ON u.tree_id = a.tree_id AND u.i BETWEEN a.i AND b.i
+            GROUP BY a.tree_id, a.i, b.i
+        ), best AS (
+            SELECT tree_id, -1::BIGINT AS i, [0::BIGINT] AS till FROM pos WHERE i = 0
+            UNION ALL
+            SELECT b.tree_id, b.i + 1, list_append(any_value(b.till), min(b.till[s.lo + 1] + s.cost)) FROM best b JOIN stretch s ON s.tree_id = b.tree_id AND s.hi = b.i + 1 GROUP BY b.tree_id, b.i
+        )
+        SELECT best.tree_id, till[n + 1] AS value FROM best JOIN (SELECT DISTINCT tree_id, n FROM pos) p ON p.tree_id = best.tree_id AND best.i = p.n - 1"""

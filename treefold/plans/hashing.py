@@ -45,6 +45,15 @@ class PolyHash:
             value = F.pmod((value * x).cast("decimal(38,0)") + F.lit(c).cast("decimal(19,0)"), p).cast("decimal(19,0)")
         return F.pmod(value, F.lit(self.m)).cast("int")
 
+    def sql(self, key: str, wide: bool = False) -> str:
+        """The same function as SQL over 128-bit integers."""
+        prime, coefficients = (WIDE_PRIME, self.wide) if wide else (PRIME, self.coefficients)
+        x = f"(cast({key} AS HUGEINT) % {prime})"
+        value = f"cast({coefficients[0]} AS HUGEINT)"
+        for c in coefficients[1:]:
+            value = f"(({value} * {x} + {c}) % {prime})"
+        return f"cast({value} % {self.m} AS BIGINT)"
+
     def evaluate(self, keys: np.ndarray) -> np.ndarray:
         x = np.asarray(keys, np.uint64) % np.uint64(PRIME)
         value = np.full(x.shape, self.coefficients[0], np.uint64)
@@ -53,12 +62,18 @@ class PolyHash:
         return (value % np.uint64(self.m)).astype(np.int64)
 
 
+PLACEMENTS = ("hash", "narrow", "spark")
+
+
 def distribute(tree: DataFrame, h: PolyHash, key: str = "node_id", placement: str = "hash") -> DataFrame:
-    """Adds the machine of each row; placement 'hash' also puts each machine's rows into its own partition.
+    """Adds the machine of each row, and puts each machine's rows into its own partition.
 
-    placement 'spark' leaves the exchange to Spark's own hash, which later joins on the key can reuse.
+    'hash' takes any 64-bit key; 'narrow' is cheaper, for keys below 2^31 - 1 only.
+    'spark' leaves the exchange to Spark's own hash, which later joins on the key can reuse.
     """
-    marked = tree.withColumn("machine", h.wide_column(F.col(key)) if placement == "wide" else h.column(F.col(key)))
+    if placement not in PLACEMENTS:
+        raise ValueError(f"placement must be one of {PLACEMENTS}")
+    marked = tree.withColumn("machine", h.column(F.col(key)) if placement == "narrow" else h.wide_column(F.col(key)))
     if placement == "spark":
         return marked.repartition(h.m, key)
     return marked.repartitionById(h.m, "machine")

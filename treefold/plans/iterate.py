@@ -37,12 +37,18 @@ def _file_system(spark: SparkSession, path: str):
     return jvm_path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()), jvm_path
 
 
-def materialise(df: DataFrame, name: str) -> DataFrame:
-    """Writes df to shared storage and reads it back, which cuts the lineage of a loop and survives lost executors."""
-    spark = df.sparkSession
+def scratch_folder(spark: SparkSession, name: str) -> str:
+    """A fresh path in the shared folder, deleted when the session ends."""
     path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
     files, jvm_path = _file_system(spark, path)
     files.deleteOnExit(jvm_path)
+    return path
+
+
+def materialise(df: DataFrame, name: str) -> DataFrame:
+    """Writes df to shared storage and reads it back, which cuts the lineage of a loop and survives lost executors."""
+    spark = df.sparkSession
+    path = scratch_folder(spark, name)
     df.write.parquet(path)
     out = spark.read.schema(df.schema).parquet(path)
     out.scratch_path = path

@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from . import measures, oracles
 from .operators import baselines, bottom_up, linear
-from .operators.binarize import binary_extension, degrees
+from .operators.binarize import binary_extension, cap_degree, default_cap, degrees, start
 from .operators.finite import Prepared, prepare_tree, solve, values_per_vertex
 from .operators.problems import PROBLEMS, colouring, edge_cover, independent_dominating_set, r_hop_domination
 from .operators.recover import recover
@@ -17,20 +17,20 @@ from .operators.relational import OPS
 from .plans import schedule
 from .plans.decompose import Rules, decompose
 from .plans.hashing import PolyHash, distribute
-from .plans.iterate import materialise
+from .plans.iterate import materialise, scratch_folder
 from .sources import trees
-from .streaming.online import batch_chain
+from .streaming.online import batch_chain, dedup_events, events_stream, join_static, purchases_after_views, run_available
 
 Query = Callable[[SparkSession, str], DataFrame]
 
-KINDS = ("chain_user", "chain_all", "heap", "random", "catalog", "star", "threads", "corpus")
+KINDS = ("chain_user", "chain_all", "heap", "random", "catalog", "customers", "star", "threads", "corpus")
 SMALL_STATE = ("mwm", "mcm", "mvc", "mis", "mds", "lpath")
 FOLDS = ("height", "subtree_sum", "subtree_size")
 MACHINES = 8
 #: Pieces for tables that grow with the subtree on whole tables: a piece's own table is quadratic in it.
 WHOLE_MACHINES = 32
 
-_ready: dict[tuple[str, str, str], Prepared] = {}
+_ready: dict[tuple[str, str, str, str], Prepared] = {}
 
 
 def clear_cache() -> None:
@@ -38,9 +38,17 @@ def clear_cache() -> None:
     _ready.clear()
 
 
+def _state(spark: SparkSession, sf_dir: str, table: str | None) -> str:
+    """Names, lengths and times of the input's files, so that a changed table is not answered from an older tree."""
+    path = spark._jvm.org.apache.hadoop.fs.Path(f"{sf_dir}/{table}.parquet" if table else sf_dir)
+    files = path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
+    return " ".join(f"{f.getPath()}:{f.getLen()}:{f.getModificationTime()}" for f in files.listStatus(path))
+
+
 def ready(spark: SparkSession, sf_dir: str, kind: str) -> Prepared:
-    """A workload tree, made binary and decomposed once for each session and input; all problems share it."""
-    key = (spark.sparkContext.applicationId, sf_dir, kind)
+    """A workload tree, made binary and decomposed once for each session and state of the input; all problems share it."""
+    table = "events" if kind in ("chain_user", "chain_all", "heap", "random", "caterpillar") else None
+    key = (spark.sparkContext.applicationId, sf_dir, kind, _state(spark, sf_dir, table))
     if key not in _ready:
         _ready[key] = prepare_tree(materialise(trees.tree(spark, sf_dir, kind), "tree"), MACHINES)
     return _ready[key]
@@ -53,8 +61,19 @@ def _answer(kind: str, problem: str) -> Query:
     return run
 
 
-def _small(spark, sf_dir, kind: str, n: int) -> DataFrame:
-    return trees.prefix(spark, sf_dir, kind, n)
+def ready_tree(spark: SparkSession, sf_dir: str, kind: str) -> DataFrame:
+    """The original vertices of a prepared tree."""
+    bt = ready(spark, sf_dir, kind).bt
+    return measures.original_parents(bt).join(bt.where("NOT is_aux").select("tree_id", F.shiftright("node_id", 2).alias("node_id"), "node_w", "edge_w"), ["tree_id", "node_id"])
+
+
+def _pieces_of(spark: SparkSession, sf_dir: str, size: int) -> int:
+    """As many machines as make shares of about `size` events."""
+    return max(1, trees.load(spark, sf_dir, "events").count() // size)
+
+
+def _merge_work(p: Prepared) -> DataFrame:
+    return measures.merge_work(p, schedule.build(p.dec.comp), max(256, -(-p.dec.n // max(1, int(p.dec.m**0.5)))))
 
 
 def _value(df: DataFrame) -> DataFrame:
@@ -65,6 +84,11 @@ def _checks(spark: SparkSession, checks: dict[str, bool]) -> DataFrame:
     return spark.createDataFrame([tuple(checks.values())], ", ".join(f"{k} boolean" for k in checks))
 
 
+def _broken(bt: DataFrame) -> bool:
+    dec = decompose(bt, 64, rules=Rules(below_completed=False, stop_factor=1, max_iterations=30), local_rows=1 << 40)
+    return measures.check_connected(bt, dec.assign) > 0
+
+
 def _dec_valid(kind: str, **options) -> Query:
     def run(spark, sf_dir):
         p = ready(spark, sf_dir, kind) if not options else prepare_tree(trees.tree(spark, sf_dir, kind), MACHINES, **options)
@@ -83,10 +107,20 @@ def _method_queries() -> dict[str, tuple[Query, str | None]]:
         for problem in (*SMALL_STATE, *FOLDS):
             q[f"{problem}_{kind}"] = (_answer(kind, problem), oracles.answers(kind, problem))
     for kind in ("caterpillar", "broom"):
-        for problem in ("mwm", "mis"):
+        for problem in SMALL_STATE:
             q[f"{problem}_{kind}"] = (_answer(kind, problem), oracles.answers(kind, problem))
-    for problem in ("mis", "mwm"):
-        q[f"{problem}_site"] = (_answer("site", problem), None)
+    for kind in ("site", "mst"):
+        for problem in ("mis", "mwm", "mds"):
+            q[f"{problem}_{kind}"] = (_answer(kind, problem), None)
+    # ---- the distributed loop to its end, without a local finish ----
+    for kind, problem in (("chain_all", "mis"), ("random", "mwm"), ("heap", "mds"), ("catalog", "mwm"), ("broom", "mwm")):
+        q[f"{problem}_distributed_{kind}"] = (
+            lambda spark, d, kind=kind, problem=problem: solve(prepare_tree(trees.tree(spark, d, kind), MACHINES, local_rows=0), PROBLEMS[problem]()).select("tree_id", "problem", "value"),
+            oracles.answers(kind, problem),
+        )
+    # ---- other numbers of machines ----
+    for m in (2, 4, 32):
+        q[f"mwm_random_m{m}"] = (lambda spark, d, m=m: solve(trees.random(spark, d), PROBLEMS["mwm"](), m).select("tree_id", "problem", "value"), oracles.answers("random", "mwm"))
     # ---- degrees and binary extension ----
     for kind in ("catalog", "heap", "star"):
         q[f"deg_{kind}"] = (
@@ -111,12 +145,29 @@ def _method_queries() -> dict[str, tuple[Query, str | None]]:
         f"WITH {oracles.levels('catalog').split(', lev AS')[0]} SELECT count(*) AS vertices, 1::BIGINT AS trees, 2 * (count(*) - 1) AS degree_sum FROM tree",
     )
     # ---- hashing and load ----
+    spread, heap_tree = PolyHash(32, seed=1), f"WITH RECURSIVE {oracles.levels('heap').split(', lev AS')[0]}"
     q["hash_distribute_catalog"] = (
-        lambda spark, d: distribute(trees.catalog(spark, d), PolyHash(32, seed=1), placement="wide").groupBy("tree_id").agg(F.count(F.lit(1)).alias("n")),
-        f"WITH {oracles.levels('catalog').split(', lev AS')[0]} SELECT tree_id, count(*) AS n FROM tree GROUP BY tree_id",
+        lambda spark, d: distribute(trees.catalog(spark, d), spread).groupBy(F.col("machine").cast("long").alias("machine")).agg(F.count(F.lit(1)).alias("n")),
+        f"WITH {oracles.levels('catalog').split(', lev AS')[0]} SELECT {spread.sql('node_id', wide=True)} AS machine, count(*) AS n FROM tree GROUP BY machine",
+    )
+    q["hash_load_heap"] = (
+        lambda spark, d: measures.machine_load(trees.heap(spark, d), spread, "node_w").select(F.col("machine").cast("long").alias("machine"), "load"),
+        f"{heap_tree} SELECT {spread.sql('node_id')} AS machine, sum(node_w)::BIGINT AS load FROM tree GROUP BY machine",
+    )
+    q["hash_uniformity_heap"] = (
+        lambda spark, d: measures.hash_uniformity(trees.heap(spark, d), spread).select("machines", "keys", F.round("chi_square", 6).alias("chi_square")),
+        f"{heap_tree}, c AS (SELECT {spread.sql('node_id')} AS machine, count(*) AS c FROM tree GROUP BY machine) SELECT 32 AS machines, sum(c)::BIGINT AS keys, round(sum(c * c)::DOUBLE * 32 / sum(c) - sum(c), 6) AS chi_square FROM c",
+    )
+    q["space_heap"] = (
+        lambda spark, d: measures.machine_space(trees.heap(spark, d), spread),
+        f"{heap_tree} SELECT {spread.sql('node_id')} AS machine, count(*) AS \"rows\", 48 * count(*) AS bytes FROM tree GROUP BY machine",
+    )
+    q["traffic_heap"] = (
+        lambda spark, d: measures.machine_traffic(trees.heap(spark, d), spread),
+        f"""{heap_tree}, ends AS (SELECT {spread.sql('node_id')} AS a, {spread.sql('parent_id')} AS b FROM tree WHERE parent_id IS NOT NULL),
+            each AS (SELECT a AS machine, 1 AS sent, 0 AS received FROM ends WHERE a <> b UNION ALL SELECT b, 0, 1 FROM ends WHERE a <> b)
+            SELECT machine, sum(sent)::BIGINT AS sent, sum(received)::BIGINT AS received FROM each GROUP BY machine""",
     )
-    q["hash_load_heap"] = (lambda spark, d: measures.machine_load(trees.heap(spark, d), PolyHash(32, seed=1), "node_w"), None)
-    q["hash_uniformity_heap"] = (lambda spark, d: measures.hash_uniformity(trees.heap(spark, d), PolyHash(32, seed=1)), None)
     q["grouped_load_bound_heap"] = (
         lambda spark, d: measures.grouped_load_bound(trees.heap(spark, d), "node_w", 32),
         f"WITH {oracles.levels('heap').split(', lev AS')[0]} SELECT sum(g)::BIGINT AS bound FROM (SELECT max(node_w) AS g FROM (SELECT node_w, (row_number() OVER (ORDER BY node_w) - 1) // 32 AS grp FROM tree) GROUP BY grp)",
@@ -124,19 +175,27 @@ def _method_queries() -> dict[str, tuple[Query, str | None]]:
     # ---- decomposition ----
     for kind in ("chain_all", "heap", "random", "caterpillar", "catalog", "chain_user"):
         q[f"dec_valid_{kind}"] = (_dec_valid(kind), _DEC_SQL)
-    q["dec_valid_distributed_random"] = (_dec_valid("random", local_rows=2_000), _DEC_SQL)
+    for kind in ("random", "chain_all", "caterpillar"):
+        q[f"dec_valid_distributed_{kind}"] = (_dec_valid(kind, local_rows=0), _DEC_SQL)
+    q["dec_rounds_random"] = (lambda spark, d: measures.decomposition_rounds(ready(spark, d, "random").dec), None)
+    q["dec_success_chain_all"] = (lambda spark, d: spark.createDataFrame([(measures.success_share(trees.chain_all(spark, d), MACHINES, 3),)], "share double"), "SELECT 1.0::DOUBLE AS share")
     q["dec_measures_random"] = (
         lambda spark, d: measures.metrics_frame(spark, "run", "decompose", [(0, k, v) for k, v in measures.piece_measures(ready(spark, d, "random").dec).items()]),
         None,
     )
-    q["dec_leaf_identity_heap"] = (
-        lambda spark, d: spark.createDataFrame([(measures.leaf_identity(_small(spark, d, "heap", 255), "node_id", "parent_id"),)], "wrong_trees long"),
-        "SELECT 0::BIGINT AS wrong_trees",
-    )
+    for kind in ("heap", "random", "catalog"):
+        # two-child pieces and leaves of the tree of pieces, and of the whole binary tree
+        q[f"dec_leaf_identity_{kind}"] = (
+            lambda spark, d, kind=kind: spark.createDataFrame(
+                [(measures.leaf_identity(ready(spark, d, kind).dec.comp, "comp_id", "parent_comp"), measures.leaf_identity(ready(spark, d, kind).bt, "node_id", "parent_id"))], "wrong_piece_trees long, wrong_trees long"
+            ),
+            "SELECT 0::BIGINT AS wrong_piece_trees, 0::BIGINT AS wrong_trees",
+        )
     # ---- other small-state problems and variants ----
     extra = {"mids_heap": independent_dominating_set(), "mec_random": edge_cover(), "colour3_random": colouring(3), "domination2_random": r_hop_domination(2)}
     for name, problem in extra.items():
-        q[name] = (lambda spark, d, name=name, problem=problem: solve(ready(spark, d, name.rsplit("_", 1)[1]), problem).select("tree_id", "problem", "value"), None)
+        rule, kind = name.rsplit("_", 1)
+        q[name] = (lambda spark, d, kind=kind, problem=problem: solve(ready(spark, d, kind), problem).select("tree_id", "problem", "value"), oracles.answers(kind, rule))
     q["mis_values_per_vertex_heap"] = (lambda spark, d: values_per_vertex(ready(spark, d, "heap"), PROBLEMS["mis"]()), oracles.vertex_values("heap", "mis"))
     q["mis_recovered_weight_heap"] = (
         lambda spark, d: measures.independent_set_weight(trees.heap(spark, d), recover(ready(spark, d, "heap"), PROBLEMS["mis"]())),
@@ -151,8 +210,26 @@ def _method_queries() -> dict[str, tuple[Query, str | None]]:
         q[f"base_levelsync_{problem}_{kind}"] = (lambda spark, d, kind=kind, problem=problem: baselines.level_sync(trees.tree(spark, d, kind), PROBLEMS[problem]()).select("tree_id", "problem", "value"), oracles.answers(kind, problem))
     for kind, problem in (("chain_all", "mwm"), ("chain_user", "mis"), ("chain_user", "mds")):
         q[f"base_path_pieces_{problem}_{kind}"] = (lambda spark, d, kind=kind, problem=problem: baselines.path_pieces(trees.tree(spark, d, kind), PROBLEMS[problem]()).select("tree_id", "problem", "value"), oracles.answers(kind, problem))
-    q["base_random_cuts_heap"] = (lambda spark, d: baselines.random_cuts(ready(spark, d, "heap").bt, 32), None)
-    q["base_naive_partition_random"] = (lambda spark, d: baselines.naive_partition(trees.random(spark, d), 8), None)
+    for kind in ("edge", "vertex"):
+        q[f"base_random_{kind}_cuts_heap"] = (lambda spark, d, kind=kind: baselines.random_cuts(ready(spark, d, "heap").bt, 32, kind=kind), None)
+    q["base_naive_hash_partition_random"] = (lambda spark, d: baselines.naive_partition(trees.random(spark, d), 8), None)
+    q["base_naive_range_partition_random"] = (
+        lambda spark, d: baselines.naive_partition(trees.random(spark, d), 8, "range"),
+        f"""WITH RECURSIVE {oracles.levels('random').split(', lev AS')[0]}, w AS (SELECT min(node_id) AS a, (max(node_id) - min(node_id)) // 8 + 1 AS width FROM tree)
+            SELECT count(*) AS edges, count(*) FILTER ((node_id - a) // width <> (parent_id - a) // width) AS cut_edges FROM tree, w WHERE parent_id IS NOT NULL""",
+    )
+    q["base_no_phase_one_load_star"] = (
+        # without phase one, one task gets all children of the centre; with it, about cap of them
+        lambda spark, d: spark.createDataFrame(
+            [tuple(int(measures.max_children(rows)) for rows in (start(trees.star(spark, d)), cap_degree(start(trees.star(spark, d)), default_cap(trees.star(spark, d).count(), MACHINES))))], "without long, with_cap long"
+        ).select("without", (F.col("with_cap") < F.col("without")).alias("smaller")),
+        "SELECT count(*) AS without, true AS smaller FROM part",
+    )
+    q["base_no_below_completed_rule_caterpillar"] = (
+        # pieces fall apart: what the rule is for
+        lambda spark, d: spark.createDataFrame([(_broken(ready(spark, d, "caterpillar").bt),)], "broken boolean"),
+        "SELECT true AS broken",
+    )
     q["base_no_coin_chain_all"] = (
         # a whole chain meets in one piece: what the coin is for
         lambda spark, d: decompose(ready(spark, d, "chain_all").bt, MACHINES, rules=Rules(coin=False)).comp.agg(F.max("n_vertices").alias("largest")),
@@ -165,65 +242,53 @@ def _method_queries() -> dict[str, tuple[Query, str | None]]:
     )
     q["base_weighted_intervals"] = (
         lambda spark, d: baselines.weighted_intervals(trees.load(spark, d, "events").select("user_id", F.unix_timestamp("ts").alias("s"), (F.unix_timestamp("ts") + 86400).alias("e"), F.lit(1).cast("long").alias("w")), "user_id", "s", "e", "w"),
-        None,
+        # intervals of one length and weight: the earliest that fits, again and again
+        """WITH RECURSIVE t AS (SELECT user_id, floor(epoch(ts))::BIGINT AS s FROM events), pick AS (
+            SELECT user_id, min(s) AS s, 1::BIGINT AS value FROM t GROUP BY user_id
+            UNION ALL SELECT p.user_id, min(t.s), any_value(p.value) + 1 FROM pick p JOIN t ON t.user_id = p.user_id AND t.s >= p.s + 86400 GROUP BY p.user_id, p.s)
+            SELECT user_id, max(value) AS value FROM pick GROUP BY user_id""",
     )
     q["base_longest_increasing"] = (
         lambda spark, d: baselines.longest_increasing(trees.load(spark, d, "events").select("user_id", "event_id", "value"), "user_id", "event_id", "value"),
-        None,
+        """WITH RECURSIVE t AS (SELECT user_id, value, row_number() OVER (PARTITION BY user_id ORDER BY event_id) AS i FROM events), run AS (
+            SELECT user_id, i, [{'v': value, 'l': 1::BIGINT}] AS seen FROM t WHERE i = 1
+            UNION ALL SELECT r.user_id, t.i, list_append(r.seen, {'v': t.value, 'l': 1 + coalesce(list_max(list_transform(list_filter(r.seen, lambda x: x.v < t.value), lambda x: x.l)), 0)})
+            FROM run r JOIN t ON t.user_id = r.user_id AND t.i = r.i + 1)
+            SELECT user_id, max(list_max(list_transform(seen, lambda x: x.l))) AS length FROM run GROUP BY user_id""",
     )
-    # ---- tables that grow with the subtree ----
-    n = 255
-    profile = f"WITH RECURSIVE {oracles.chain_profile(n)} SELECT cast(b AS BIGINT) AS idx, cast(min(v) AS BIGINT) AS value FROM step WHERE i = {n - 1} GROUP BY b"
-    half = f"SELECT cast(0 AS BIGINT) AS tree_id, value FROM ({profile}) WHERE idx = {n // 2}"
-    q["bisect_chain255"] = (lambda spark, d: _value(linear.bisection(_small(spark, d, "chain_all", n), 4)), half)
-    q["bisect_profile_chain255"] = (lambda spark, d: linear.solve_vectors(_small(spark, d, "chain_all", n), linear.BISECTION, 4).select("idx", "value"), profile)
-    heap63 = """WITH RECURSIVE t AS (SELECT event_id AS id, cast(round(value * 100) AS BIGINT) AS w FROM events WHERE event_id < 63),
-        up AS (
-            SELECT id, c AS colour, cast(c AS BIGINT) AS b, cast(0 AS BIGINT) AS v FROM t, (VALUES (0), (1)) x(c) WHERE id >= 31
-            UNION ALL
-            SELECT p, c, b, min(v) FROM (
-                SELECT (l.id - 1) // 2 AS p, x.c, x.c + l.b + r.b AS b,
-                       l.v + r.v + CASE WHEN l.colour <> x.c THEN tl.w ELSE 0 END + CASE WHEN r.colour <> x.c THEN tr.w ELSE 0 END AS v
-                FROM up l JOIN up r ON l.id % 2 = 1 AND r.id = l.id + 1 JOIN t tl ON tl.id = l.id JOIN t tr ON tr.id = r.id, (VALUES (0), (1)) x(c)
-            ) GROUP BY p, c, b)"""
-    q["bisect_heap63"] = (lambda spark, d: _value(linear.bisection(_small(spark, d, "heap", 63), 4)), f"{heap63} SELECT cast(0 AS BIGINT) AS tree_id, cast(min(v) AS BIGINT) AS value FROM up WHERE id = 0 AND b = 31")
-    q["bisect_sequential_chain255"] = (lambda spark, d: _value(bottom_up.bisection_sequential(_small(spark, d, "chain_all", n))), half)
-    for finish in linear.FINISHES[1:]:
-        q[f"bisect_{finish}_chain255"] = (lambda spark, d, finish=finish: _value(linear.bisection(_small(spark, d, "chain_all", n), 2, finish=finish, rules=Rules(stop_factor=3))), half)
-    q["bisect_grid_heap63"] = (
-        lambda spark, d: _value(linear.bisection(_small(spark, d, "heap", 63), 2, local_elements=0, block=16, rules=Rules(stop_factor=3))),
-        f"{heap63} SELECT cast(0 AS BIGINT) AS tree_id, cast(min(v) AS BIGINT) AS value FROM up WHERE id = 0 AND b = 31",
+    # ---- tables that grow with the subtree: a forest of chains, whole, against SQL ----
+    chains = lambda spark, d: trees.chain_user(spark, d)
+    half = f"WITH RECURSIVE {oracles.chain_profiles('chain_user')} SELECT tree_id, v AS value FROM prof WHERE idx = n // 2"
+    q["bisect_chain_user"] = (lambda spark, d: _value(linear.bisection(chains(spark, d), MACHINES)), half)
+    q["bisect_profile_chain_user"] = (
+        lambda spark, d: linear.solve_vectors(chains(spark, d), linear.BISECTION, MACHINES),
+        f"WITH RECURSIVE {oracles.chain_profiles('chain_user')} SELECT tree_id, idx, v AS value FROM prof",
     )
-    for k in (1, 2, 5, n // 2, n):
-        window = f"SELECT sum(edge_w) OVER (ORDER BY node_id ROWS BETWEEN {max(0, k - 2)} PRECEDING AND CURRENT ROW) AS s, node_id FROM tree"
-        for sense, pick in (("min", "min"), ("max", "max")):
-            inner = f"SELECT {pick}(s)::BIGINT AS value FROM ({window}) WHERE node_id >= {k - 1}" if k > 1 else "SELECT 0::BIGINT AS value"
-            q[f"k{sense}_chain255_k{k}"] = (
-                lambda spark, d, k=k, sense=sense: _value(linear.k_spanning(_small(spark, d, "chain_all", n), k, sense, 4)),
-                f"WITH {oracles.levels('chain_all', n)} SELECT 0::BIGINT AS tree_id, value FROM ({inner})",
+    q["bisect_sequential_chain_user"] = (lambda spark, d: _value(bottom_up.bisection_sequential(chains(spark, d))), half)
+    for finish in linear.FINISHES:
+        # pieces of about 16 vertices, so that every tree is merged from several; the grid without a local finish
+        q[f"bisect_{finish}_chain_user"] = (lambda spark, d, finish=finish: _value(linear.bisection(chains(spark, d), _pieces_of(spark, d, 16), finish=finish, block=32, local_elements=0, rules=Rules(stop_factor=1))), half)
+    spans = f"WITH RECURSIVE {oracles.chain_positions('chain_user')}"
+    for k in (1, 2, 5, 40):
+        for sense in ("min", "max"):
+            window = f"SELECT tree_id, i, n, place - lag(place, {k - 1}) OVER (PARTITION BY tree_id ORDER BY i) AS s FROM pos"
+            q[f"k{sense}_chain_user_k{k}"] = (
+                lambda spark, d, k=k, sense=sense: _value(linear.k_spanning(chains(spark, d), k, sense, MACHINES)),
+                f"{spans} SELECT tree_id, {sense}(s)::BIGINT AS value FROM ({window}) GROUP BY tree_id",
             )
-    q["kmin_sequential_heap63"] = (lambda spark, d: _value(bottom_up.k_spanning_sequential(_small(spark, d, "heap", 63), 5)), None)
-    q["kmin_heap63"] = (lambda spark, d: _value(linear.k_spanning(_small(spark, d, "heap", 63), 5, "min", 4)), None)
-    dist = f"WITH RECURSIVE {oracles.distances('heap', 63)}"
-    pairs = "SELECT x.node_id AS p, y.node_id AS q FROM tree x JOIN tree y ON x.node_id <= y.node_id"
-    served = f"SELECT p, q, max(least(a.d, b.d)) AS far, sum(least(a.d, b.d)) AS total FROM ({pairs}) JOIN dist a ON a.x = p JOIN dist b ON b.x = q AND b.y = a.y GROUP BY p, q"
-    q["kcenter_heap63"] = (lambda spark, d: _value(bottom_up.k_center(_small(spark, d, "heap", 63), 2)), f"{dist} SELECT 0::BIGINT AS tree_id, min(far)::BIGINT AS value FROM ({served})")
-    q["kmedian_heap63"] = (lambda spark, d: _value(bottom_up.k_median(_small(spark, d, "heap", 63), 2)), f"{dist} SELECT 0::BIGINT AS tree_id, min(total)::BIGINT AS value FROM ({served})")
-    q["mindiam_heap63"] = (
-        lambda spark, d: _value(bottom_up.minimum_diameter(_small(spark, d, "heap", 63), 5)),
-        f"{dist} SELECT 0::BIGINT AS tree_id, min(d)::BIGINT AS value FROM (SELECT e.x, e.y, e.d, count(*) AS held FROM dist e JOIN dist a ON a.x = e.x AND a.d <= e.d JOIN dist b ON b.x = e.y AND b.y = a.y AND b.d <= e.d GROUP BY e.x, e.y, e.d) WHERE held >= 5",
-    )
-    q["ufl_heap15"] = (
-        lambda spark, d: _value(bottom_up.facility_location(_small(spark, d, "heap", 15))),
-        # every set of open vertices of the 15
-        f"WITH RECURSIVE {oracles.distances('heap', 15)}, sets AS (SELECT range AS s FROM range(1, 32768)), "
-        "opened AS (SELECT s, sum(node_w) AS cost FROM sets JOIN tree ON (s >> node_id::BIGINT) & 1 = 1 GROUP BY s), "
-        "near AS (SELECT s, dist.x, min(dist.d) AS d FROM sets JOIN dist ON (s >> dist.y::BIGINT) & 1 = 1 GROUP BY s, dist.x) "
-        "SELECT 0::BIGINT AS tree_id, min(cost + total)::BIGINT AS value FROM opened JOIN (SELECT s, sum(d) AS total FROM near GROUP BY s) USING (s)",
-    )
-    q["kpart_chain255"] = (lambda spark, d: _value(bottom_up.k_partition(_small(spark, d, "chain_all", n), 10)), f"SELECT 0::BIGINT AS tree_id, {-(-n // 10)}::BIGINT AS value")
-    q["kcenter_mst"] = (lambda spark, d: _value(bottom_up.k_center(trees.mst(spark, d, 255), 3)), None)
-    # ---- the same on whole tables; bisection has no SQL, as its tables are quadratic ----
+    q["kmin_sequential_chain_user"] = (lambda spark, d: _value(bottom_up.k_spanning_sequential(chains(spark, d), 5)), f"{spans} SELECT tree_id, min(s)::BIGINT AS value FROM (SELECT tree_id, place - lag(place, 4) OVER (PARTITION BY tree_id ORDER BY i) AS s FROM pos) GROUP BY tree_id")
+    # ---- the bottom-up problems on forests of chains and of customers' orders and lines ----
+    for kind in ("chain_user", "customers"):
+        forest = lambda spark, d, kind=kind: trees.tree(spark, d, kind)
+        q[f"kcenter_{kind}"] = (lambda spark, d, f=forest: _value(bottom_up.k_center(f(spark, d), 2)), oracles.served(kind, "max"))
+        q[f"kmedian_{kind}"] = (lambda spark, d, f=forest: _value(bottom_up.k_median(f(spark, d), 2)), oracles.served(kind, "sum"))
+        q[f"mindiam_{kind}"] = (lambda spark, d, f=forest: _value(bottom_up.minimum_diameter(f(spark, d), 5)), oracles.least_diameter(kind, 5))
+        q[f"ufl_{kind}"] = (lambda spark, d, f=forest: _value(bottom_up.facility_location(f(spark, d))), oracles.chain_facilities(kind) if kind == "chain_user" else None)
+        parts = "ceil(count(*) / 10)" if kind == "chain_user" else None
+        q[f"kpart_{kind}"] = (lambda spark, d, f=forest: _value(bottom_up.k_partition(f(spark, d), 10)), f"WITH RECURSIVE {oracles.levels(kind)} SELECT tree_id, {parts}::BIGINT AS value FROM tree GROUP BY tree_id" if parts else None)
+    for name, run in (("bisect", linear.bisection), ("bisect_sequential", bottom_up.bisection_sequential)):
+        q[f"{name}_customers"] = (lambda spark, d, run=run: _value(run(trees.customers(spark, d))), None)
+    # ---- single trees over all events; bisection has no SQL here, as its tables are quadratic ----
     for kind in ("chain_all", "heap"):
         q[f"bisect_{kind}"] = (lambda spark, d, kind=kind: _value(linear.bisection(trees.tree(spark, d, kind), WHOLE_MACHINES)), None)
         q[f"bisect_sequential_{kind}"] = (lambda spark, d, kind=kind: _value(bottom_up.bisection_sequential(trees.tree(spark, d, kind))), None)
@@ -242,14 +307,22 @@ def _method_queries() -> dict[str, tuple[Query, str | None]]:
     q["kmin_heap"] = (lambda spark, d: _value(linear.k_spanning(trees.heap(spark, d), 5, "min", WHOLE_MACHINES)), None)
     q["kmin_sequential_heap"] = (lambda spark, d: _value(bottom_up.k_spanning_sequential(trees.heap(spark, d), 5)), None)
     q["kcenter_heap"] = (lambda spark, d: _value(bottom_up.k_center(trees.heap(spark, d), 2)), None)
-    q["kcenter_mst_all"] = (lambda spark, d: _value(bottom_up.k_center(trees.mst(spark, d), 3)), None)
+    q["kcenter_mst"] = (lambda spark, d: _value(bottom_up.k_center(ready_tree(spark, d, "mst"), 3)), None)
     q["kpart_chain_all"] = (lambda spark, d: _value(bottom_up.k_partition(trees.chain_all(spark, d), 10)), "SELECT 0::BIGINT AS tree_id, ceil(count(*) / 10)::BIGINT AS value FROM events")
-    q["dec_leaf_identity_heap_all"] = (
-        lambda spark, d: spark.createDataFrame([(measures.leaf_identity(trees.heap(spark, d), "node_id", "parent_id"),)], "wrong_trees long"),
-        "SELECT 0::BIGINT AS wrong_trees",
-    )
     # ---- schedule ----
     q["schedule_rows_random"] = (lambda spark, d: measures.schedule_rows(schedule.build(ready(spark, d, "random").dec.comp)), None)
+    q["merge_work_heap"] = (lambda spark, d: _merge_work(ready(spark, d, "heap")), None)
+    # ---- streams run over all that is there ----
+    q["stream_purchases_after_views"] = (
+        lambda spark, d: run_available(purchases_after_views(events_stream(spark, d, "1 hour")), scratch_folder(spark, "stream")),
+        """SELECT v.event_id AS view_id, p.event_id AS purchase_id FROM events v JOIN events p ON v.user_id = p.user_id AND v.event_type = 'view' AND p.event_type = 'purchase'
+           AND p.ts >= v.ts AND p.ts <= v.ts + INTERVAL 1 HOUR""",
+    )
+    q["stream_join_static"] = (
+        lambda spark, d: run_available(join_static(events_stream(spark, d), trees.load(spark, d, "customer")).select("event_id", "user_id", "c_mktsegment"), scratch_folder(spark, "stream")),
+        "SELECT event_id, user_id, c_mktsegment FROM events LEFT JOIN customer ON c_custkey = user_id",
+    )
+    q["stream_dedup_events"] = (lambda spark, d: run_available(dedup_events(events_stream(spark, d)).select("event_id"), scratch_folder(spark, "stream")), "SELECT DISTINCT event_id FROM events")
     # ---- streaming: the online chain problem gives the batch answer ----
     q["stream_chain_mis_batch"] = (lambda spark, d: batch_chain(trees.load(spark, d, "events"), PROBLEMS["mis"]()), f"SELECT tree_id AS user_id, value FROM ({oracles.answers('chain_user', 'mis')})")
     return q

@@ -57,6 +57,15 @@ def catalog(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _tree(root.unionAll(regions).unionAll(nations).unionAll(customers).unionAll(orders).unionAll(lines))
 
 
+def customers(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The catalog cut at customer level: a tree of orders and lines for each customer."""
+    roots = load(spark, sf_dir, "customer").select(F.col("c_custkey").alias("tree"), (F.col("c_custkey") + 3 * LEVEL).alias("node"), F.lit(None).cast("long").alias("parent"), cents(F.abs("c_acctbal")).alias("w"))
+    owners = load(spark, sf_dir, "orders").select(F.col("o_custkey").alias("tree"), F.col("o_orderkey"), cents(F.col("o_totalprice")).alias("w"))
+    orders = owners.select("tree", (F.col("o_orderkey") + 4 * LEVEL).alias("node"), (F.col("tree") + 3 * LEVEL).alias("parent"), "w")
+    lines = _line_ids(spark, sf_dir).join(owners.select("tree", F.col("o_orderkey").alias("l_orderkey")), "l_orderkey").select("tree", (F.col("rank") + 5 * LEVEL).alias("node"), (F.col("l_orderkey") + 4 * LEVEL).alias("parent"), "w")
+    return _tree(roots.unionAll(orders).unionAll(lines), tree_id="tree")
+
+
 def _events(spark: SparkSession, sf_dir: str) -> DataFrame:
     return load(spark, sf_dir, "events").select("event_id", "user_id", "ts", cents(F.col("value")).alias("w"))
 
@@ -148,13 +157,9 @@ def mst(spark: SparkSession, sf_dir: str, limit: int | None = None) -> DataFrame
     return spanning_tree(rows.where(F.col("vec_id") < limit) if limit else rows)
 
 
-def prefix(spark: SparkSession, sf_dir: str, kind: str, n: int) -> DataFrame:
-    """The first n vertices of a tree whose parents have smaller ids."""
-    return BUILDERS[kind](spark, sf_dir).where(F.col("node_id") < n)
-
-
 BUILDERS: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "catalog": catalog,
+    "customers": customers,
     "chain_all": chain_all,
     "chain_user": chain_user,
     "heap": heap,

@@ -1,5 +1,5 @@
 """Structured Streaming surface."""
 
-from .online import batch_chain, chain_dp, dedup_events, join_static, purchases_after_views, windowed_dp
+from .online import batch_chain, chain_dp, dedup_events, events_stream, join_static, purchases_after_views, run_available, windowed_dp
 
-__all__ = ["batch_chain", "chain_dp", "dedup_events", "join_static", "purchases_after_views", "windowed_dp"]
+__all__ = ["batch_chain", "chain_dp", "dedup_events", "events_stream", "join_static", "purchases_after_views", "run_available", "windowed_dp"]

@@ -7,7 +7,7 @@ from collections.abc import Iterator
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions.columns import cents
@@ -135,3 +135,22 @@ def purchases_after_views(events: DataFrame, within: str = "1 hour") -> DataFram
     buys = events.where("event_type = 'purchase'").select(F.col("user_id").alias("buyer"), F.col("event_id").alias("purchase_id"), F.col("ts").alias("buy_ts"))
     near = F.expr(f"buyer = user_id AND buy_ts >= view_ts AND buy_ts <= view_ts + INTERVAL {within}")
     return views.join(buys, near).select("view_id", "purchase_id")
+
+
+def run_available(stream: DataFrame, folder: str) -> DataFrame:
+    """Runs an appending stream over all that is there, into Parquet files in folder, and returns their rows."""
+    out = f"{folder}/rows"
+    query = stream.writeStream.format("parquet").outputMode("append").option("path", out).option("checkpointLocation", f"{folder}/state").trigger(availableNow=True).start()
+    query.awaitTermination()
+    return stream.sparkSession.read.schema(stream.schema).parquet(out)
+
+
+def events_stream(spark: SparkSession, sf_dir: str, delay: str = "0 seconds") -> DataFrame:
+    """The events table as a stream with a watermark."""
+    path = f"{sf_dir}/events.parquet"
+    source = spark.readStream.schema(spark.read.parquet(path).schema)
+    jvm_path = spark._jvm.org.apache.hadoop.fs.Path(path)
+    if not jvm_path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).getFileStatus(jvm_path).isDirectory():
+        # a stream reads folders: this one's other tables are left out by name
+        source, path = source.option("pathGlobFilter", "events.parquet"), sf_dir
+    return source.parquet(path).withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", delay)
