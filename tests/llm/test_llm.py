@@ -64,6 +64,50 @@ def test_exact_dedup(docs, rows, none):
     assert ed.exact_dedup(none).count() == 0
 
 
+def test_deletion_on_tables(spark, docs, rows):
+    from pyspark.sql import functions as F
+
+    digested = docs.select("doc_id", F.unhex(F.sha2(F.coalesce("text", F.lit("")), 256)).alias("digest"))
+    entries = ed.index_digests(digested, partitions=3).cache()
+    texts = sorted({r[1] or "" for r in rows})
+    gone = [hashlib.sha256(t.encode()).digest() for t in texts[::3]]
+    some = spark.createDataFrame([(g,) for g in [*gone, gone[0], b"unknown"]], "digest binary")
+    left = {bytes(r["digest"]): (r["keep_id"], r["group_size"]) for r in ed.delete_digests(entries, some).collect()}
+    whole = {bytes(r["digest"]): (r["keep_id"], r["group_size"]) for r in entries.collect()}
+    assert left == {k: v for k, v in whole.items() if k not in gone} and len(whole) == len(texts)
+    # what was deleted may come again, later rows counting from one
+    again = ed.index_digests(digested.where(F.col("digest").isin([bytearray(g) for g in gone])), partitions=2)
+    assert {bytes(r["digest"]) for r in again.collect()} == set(gone)
+
+
+def test_contents_are_checked(spark):
+    from pyspark.sql import functions as F
+
+    df = spark.createDataFrame([(1, "a"), (2, "b"), (3, "a"), (4, None), (5, ""), (6, "c")], "doc_id long, text string")
+    wrong = F.when(F.col("text").isin("a", "b"), F.lit("x")).otherwise(F.coalesce("text", F.lit(""))).cast("binary")
+    entries = ed.index_digests(df.select("doc_id", wrong.alias("digest")), partitions=2)
+    assert [bytes(r[0]) for r in ed.unlike_contents(df, wrong, entries).collect()] == [b"x"]
+
+
+def test_line_runs_can_be_opened_again(spark, tmp_path):
+    first = [(i, f"a line that number {i % 3} shares\nan own line of {i}") for i in range(6)]
+    second = [(10 + i, f"a line that number {i % 4} shares\nan own line of {i}") for i in range(6)]
+    lines = lambda rows: line_dedup.hashed_lines(spark.createDataFrame(rows, "doc_id long, text string"))
+    folder = str(tmp_path / "runs")
+    runs = line_dedup.LineRuns(spark, folder=folder, buckets=2)
+    assert runs.ingest(lines(first)).count() == 3
+    runs.save()
+    runs.close()
+    opened = line_dedup.LineRuns.open(spark, folder)
+    with line_dedup._bucket_order(spark):
+        text = opened.runs()[0].hint("merge").join(opened.runs()[0], ["h1", "h2"])._jdf.queryExecution().executedPlan().toString()
+    assert "SortMergeJoin" in text and "Sort [" not in text and "Exchange" not in text
+    lost = {(r["__ld_doc"], r["__ld_pos"]) for r in opened.ingest(lines(second)).collect()}
+    assert lost == {*((10 + i, 0) for i in (0, 1, 2, 4, 5)), *((10 + i, 1) for i in range(6))}
+    opened.close()
+    assert not [t for t in spark.catalog.listTables() if t.name.startswith("line_run_")]
+
+
 def test_cuckoo_index():
     index = ed.CuckooIndex(8)
     keys = [hashlib.sha256(str(i).encode()).digest() for i in range(5000)]

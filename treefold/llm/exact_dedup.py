@@ -3,23 +3,24 @@
 Every task first folds its own rows into an index (so a digest that a third of
 all rows share leaves a task once), then each digest partition merges the
 partial entries into its index. A filter hit is never trusted: it is checked
-against the content key (length-independent SHA-256) stored in the same
-partition. When the filter overflows it is rebuilt twice as large from the
-stored keys.
+against the digests stored in the same partition, and a digest that several
+rows share is checked against their content, bucketed by digest. When the
+filter overflows it is rebuilt twice as large from the stored keys.
 """
 
 from __future__ import annotations
 
 from array import array
-from collections.abc import Iterable, Iterator
+from collections.abc import Callable, Iterable, Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .common import materialise, prepare, text_or_empty
 
+PARTITION_ROWS = 2_000_000
 SLOTS = 4
 MAX_KICKS = 200
 _MIX = 0x9E3779B97F4A7C15
@@ -179,11 +180,53 @@ ENTRY = "digest binary, keep_id long, group_size long"
 
 
 def index_digests(digests: DataFrame, combine_rows: int = 200_000, partitions: int | None = None) -> DataFrame:
-    """(doc_id, digest) -> one row per live digest: digest, keep_id, group_size."""
-    prepare(digests.sparkSession)
+    """(doc_id, digest) -> one row per live digest: digest, keep_id, group_size.
+
+    partitions: None makes them of about PARTITION_ROWS rows of the input, so that
+    what an index holds does not grow with the table.
+    """
+    spark = digests.sparkSession
+    prepare(spark)
+    if partitions is None:
+        partitions = max(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-digests.count() // PARTITION_ROWS))
     partial = digests.select("digest", "doc_id").mapInArrow(_fold(combine_rows), ENTRY)
-    dealt = partial.repartition(partitions, "digest") if partitions else partial.repartition("digest")
-    return dealt.mapInArrow(_fold(None), ENTRY)
+    return partial.repartition(partitions, "digest").mapInArrow(_fold(None), ENTRY)
+
+
+def _unfold() -> Callable:
+    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        index = CuckooIndex()
+        out: list[bytes] = []
+        for batch in batches:
+            for digest, live in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
+                if live:
+                    index.add(digest, None)
+                elif index.remove(digest):
+                    out.append(digest)
+        yield pa.RecordBatch.from_arrays([pa.array(out, pa.binary())], ["digest"])
+
+    return run
+
+
+def delete_digests(entries: DataFrame, gone: DataFrame) -> DataFrame:
+    """The live entries (digest, keep_id, group_size) without those of `gone` (a digest column, repeats and unknown ones do no harm).
+
+    Both sides meet by digest; each partition inserts its live digests and takes the others out.
+    """
+    prepare(entries.sparkSession)
+    rows = entries.select("digest", F.lit(True).alias("live")).unionAll(gone.select("digest", F.lit(False).alias("live")).distinct())
+    removed = rows.repartition("digest").sortWithinPartitions(F.col("live").desc()).mapInArrow(_unfold(), "digest binary")
+    return entries.join(removed, "digest", "left_anti").select("digest", "keep_id", "group_size")
+
+
+def unlike_contents(docs: DataFrame, digests: Column, entries: DataFrame, text_col: str = "text") -> DataFrame:
+    """Digests whose rows do not all hold the same text, from the content of all rows that share one.
+
+    Least and greatest text of a digest are found before anything moves, so copies leave a task once.
+    """
+    shared = entries.where("group_size > 1").select("digest")
+    rows = docs.select(digests.alias("digest"), text_or_empty(text_col).alias("text")).join(shared, "digest", "left_semi")
+    return rows.groupBy("digest").agg(F.min("text").alias("least"), F.max("text").alias("most")).where("least <> most").select("digest")
 
 
 def exact_dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -193,13 +236,14 @@ def exact_dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text")
     with the largest id of a group stays. Null ids lose to any id; a group of
     null ids only keeps them. Rows that repeat an id and its text count as rows
     of the group and share its decision. An empty table gives an empty result;
-    other columns are ignored.
+    other columns are ignored. Equal digests are checked against the texts; two
+    texts of one digest, which nobody has seen yet, raise an error.
     """
-    rows = materialise(
-        docs.select(F.col(id_col).cast("long").alias("doc_id"), F.unhex(F.sha2(text_or_empty(text_col), 256)).alias("digest")),
-        "digests",
-    )
-    entries = index_digests(rows)
+    digest = F.unhex(F.sha2(text_or_empty(text_col), 256))
+    rows = materialise(docs.select(F.col(id_col).cast("long").alias("doc_id"), digest.alias("digest")), "digests")
+    entries = materialise(index_digests(rows), "digest-index")
+    if unlike_contents(docs, digest, entries, text_col).limit(1).count():
+        raise RuntimeError("two texts share a SHA-256 digest")
     return rows.join(entries, "digest").select(
         "doc_id", "keep_id", "group_size", F.col("doc_id").eqNullSafe(F.col("keep_id")).alias("kept"), F.lower(F.hex("digest")).alias("text_sha256")
     )

@@ -13,15 +13,19 @@ A line's hash is 128 bits: two differently seeded 64-bit hashes.
 from __future__ import annotations
 
 import uuid
+from collections.abc import Iterator
+from contextlib import contextmanager
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import ASCII_SPACE, MAX_LONG, materialise, release, scratch_path, text_or_empty
+from .common import ASCII_SPACE, MAX_LONG, fresh, materialise, release, scratch_path, text_or_empty
 
 MIN_CHARS = 10
 BATCHES = 4
 FANOUT = 2
+_ORDER = "spark.sql.legacy.bucketedTableScan.outputOrdering"
+_LISTED = "level int, name string, path string, buckets int"
 _UPPER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
 
 
@@ -48,20 +52,56 @@ def hashed_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     return keyed.select("__ld_doc", "__ld_text", "__ld_pos", F.xxhash64("__ld_key").alias("h1"), F.xxhash64(F.lit(1), "__ld_key").alias("h2"))
 
 
+@contextmanager
+def _bucket_order(spark: SparkSession) -> Iterator[None]:
+    """Lets the planner rely on the order inside bucket files (each bucket of a run is one file), so runs are merged unsorted."""
+    before = spark.conf.get(_ORDER, "false")
+    spark.conf.set(_ORDER, "true")
+    try:
+        yield
+    finally:
+        spark.conf.set(_ORDER, before)
+
+
 class LineRuns:
-    """The live runs, by level. Batches must come in ascending document id."""
+    """The live runs, by level. Batches must come in ascending document id.
 
-    def __init__(self, spark: SparkSession, fanout: int = FANOUT, buckets: int | None = None):
+    A run is a Parquet table in the folder, bucketed and sorted by hash. With a
+    name, the list of runs is kept beside them, so that a later job can open the
+    runs and go on with documents of larger ids.
+    """
+
+    def __init__(self, spark: SparkSession, fanout: int = FANOUT, buckets: int | None = None, folder: str | None = None):
         self.spark = spark
         self.fanout = fanout
+        self.folder = folder
         self.buckets = buckets or int(spark.conf.get("spark.sql.shuffle.partitions"))
         self.levels: list[list[str]] = []
         self.paths: dict[str, str] = {}
         self.compactions = 0
 
+    @classmethod
+    def open(cls, spark: SparkSession, folder: str, fanout: int = FANOUT) -> LineRuns:
+        """The runs that save() left in a folder, registered again in this session's catalog."""
+        listed = [(r["level"], r["name"], r["path"], r["buckets"]) for r in spark.read.schema(_LISTED).json(f"{folder}/runs").collect()]
+        out = cls(spark, fanout, max((b for *_, b in listed), default=None), folder)
+        for level, name, path, buckets in sorted(listed):
+            while len(out.levels) <= level:
+                out.levels.append([])
+            spark.sql(f"DROP TABLE IF EXISTS {name}")
+            spark.sql(f"CREATE TABLE {name} (h1 BIGINT, h2 BIGINT, owner BIGINT) USING parquet CLUSTERED BY (h1, h2) SORTED BY (h1, h2) INTO {buckets} BUCKETS LOCATION '{path}'")
+            out.levels[level].append(name)
+            out.paths[name] = path
+        return out
+
+    def save(self) -> None:
+        """Writes the list of live runs into the folder."""
+        rows = [(level, name, self.paths[name], self.buckets) for level, names in enumerate(self.levels) for name in names]
+        self.spark.createDataFrame(rows, _LISTED).coalesce(1).write.mode("overwrite").json(f"{self.folder}/runs")
+
     def _write(self, rows: DataFrame, level: int) -> None:
         name = f"line_run_{uuid.uuid4().hex}"
-        path = scratch_path(self.spark, name)
+        path = f"{self.folder}/{name}" if self.folder else scratch_path(self.spark, name)
         (
             rows.repartition(self.buckets, "h1", "h2")
             .write.bucketBy(self.buckets, "h1", "h2")
@@ -74,9 +114,11 @@ class LineRuns:
             self.levels.append([])
         self.levels[level].append(name)
 
-    def _drop(self, name: str) -> None:
+    def _drop(self, name: str, files: bool = True) -> None:
         self.spark.sql(f"DROP TABLE IF EXISTS {name}")
-        release(self.spark, self.paths.pop(name))
+        path = self.paths.pop(name)
+        if files:
+            release(self.spark, path)
 
     def runs(self) -> list[DataFrame]:
         return [self.spark.table(n) for level in self.levels for n in level]
@@ -88,7 +130,8 @@ class LineRuns:
         for i, run in enumerate(self.runs()):
             firsts = firsts.join(run.withColumnRenamed("owner", f"owner_{i}"), ["h1", "h2"], "left")
             known = F.coalesce(known, F.col(f"owner_{i}"))
-        looked_up = materialise(firsts.select("h1", "h2", "owner", "last", known.alias("known")), "line-lookup")
+        with _bucket_order(self.spark):
+            looked_up = materialise(firsts.select("h1", "h2", "owner", "last", known.alias("known")), "line-lookup")
         self._write(looked_up.where("known IS NULL").select("h1", "h2", "owner"), 0)
         shared = looked_up.where("known IS NOT NULL OR owner <> last").select("h1", "h2", F.coalesce("known", "owner").alias("keeper"))
         lost = lines.join(shared, ["h1", "h2"]).where("__ld_doc <> keeper")
@@ -111,9 +154,9 @@ class LineRuns:
             level += 1
 
     def close(self) -> None:
-        for level in self.levels:
-            for name in level:
-                self._drop(name)
+        """Takes the runs out of the catalog; without a folder of their own, their files go too."""
+        for name in list(self.paths):
+            self._drop(name, files=self.folder is None)
         self.levels = []
 
 
@@ -133,25 +176,27 @@ def dedup_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     edges = sorted(set(cuts or []))
     runs = LineRuns(spark, fanout)
     lost = []
-    for i in range(len(edges) + 1):
-        batch = lines
-        if i > 0:
-            batch = batch.where(F.col("__ld_doc") > edges[i - 1])
-        if i < len(edges):
-            batch = batch.where(F.col("__ld_doc") <= edges[i])
-        lost.append(materialise(runs.ingest(batch), "line-drops"))
-    runs.close()
+    try:
+        for i in range(len(edges) + 1):
+            batch = lines
+            if i > 0:
+                batch = batch.where(F.col("__ld_doc") > edges[i - 1])
+            if i < len(edges):
+                batch = batch.where(F.col("__ld_doc") <= edges[i])
+            lost.append(materialise(runs.ingest(batch), "line-drops"))
+    finally:
+        runs.close()
     all_lost = lost[0]
     for part in lost[1:]:
         all_lost = all_lost.unionAll(part)
-    drops = all_lost.groupBy("__ld_doc", "__ld_text").agg(F.collect_set("__ld_pos").alias("__ld_drops"))
-    keys = _row_key(id_col, text_col)
-    joined = docs.withColumns({"__ld_doc": keys[0], "__ld_text": keys[1]}).join(drops, ["__ld_doc", "__ld_text"], "left")
-    split = _lines(text_or_empty(text_col))
-    stay = F.array_except(F.sequence(F.lit(0), F.size("__ld_lines") - 1), F.col("__ld_drops"))
-    kept = F.when(F.col("__ld_drops").isNull(), text_or_empty(text_col)).otherwise(F.array_join(F.transform(stay, lambda i: F.get("__ld_lines", i)), "\n"))
+    doc, key, cut, drops = (fresh(docs, f"__ld_{name}") for name in ("doc", "text", "lines", "drops"))
+    found = all_lost.groupBy(F.col("__ld_doc").alias(doc), F.col("__ld_text").alias(key)).agg(F.collect_set("__ld_pos").alias(drops))
+    of_doc, of_text = _row_key(id_col, text_col)
+    joined = docs.withColumns({doc: of_doc, key: of_text}).join(found, [doc, key], "left")
+    stay = F.array_except(F.sequence(F.lit(0), F.size(cut) - 1), F.col(drops))
+    kept = F.when(F.col(drops).isNull(), text_or_empty(text_col)).otherwise(F.array_join(F.transform(stay, lambda i: F.get(cut, i)), "\n"))
     return (
-        joined.withColumn("__ld_lines", split)
-        .withColumns({"kept_text": kept, "n_lines": F.size("__ld_lines").cast("long"), "n_dropped": F.coalesce(F.size("__ld_drops"), F.lit(0)).cast("long")})
-        .drop("__ld_doc", "__ld_text", "__ld_lines", "__ld_drops")
+        joined.withColumn(cut, _lines(text_or_empty(text_col)))
+        .withColumns({"kept_text": kept, "n_lines": F.size(cut).cast("long"), "n_dropped": F.coalesce(F.size(drops), F.lit(0)).cast("long")})
+        .drop(doc, key, cut, drops)
     )
