@@ -160,8 +160,8 @@ class LineRuns:
         self.levels = []
 
 
-def dedup_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_chars: int = MIN_CHARS, batches: int = BATCHES, fanout: int = FANOUT) -> DataFrame:
-    """docs with kept_text, n_lines (before) and n_dropped added; input columns of these names are replaced.
+def dedup_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_chars: int = MIN_CHARS, batches: int = BATCHES, fanout: int = FANOUT, names: tuple[str, str, str] = ("kept_text", "n_lines", "n_dropped")) -> DataFrame:
+    """docs with kept_text, n_lines (before) and n_dropped added under the given names; input columns of these names are replaced.
 
     A line whose key of at least min_chars code points stands in two documents
     or more goes from all of them but the smallest id; a document's own repeats
@@ -197,6 +197,6 @@ def dedup_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     kept = F.when(F.col(drops).isNull(), text_or_empty(text_col)).otherwise(F.array_join(F.transform(stay, lambda i: F.get(cut, i)), "\n"))
     return (
         joined.withColumn(cut, _lines(text_or_empty(text_col)))
-        .withColumns({"kept_text": kept, "n_lines": F.size(cut).cast("long"), "n_dropped": F.coalesce(F.size(drops), F.lit(0)).cast("long")})
+        .withColumns(dict(zip(names, (kept, F.size(cut).cast("long"), F.coalesce(F.size(drops), F.lit(0)).cast("long")))))
         .drop(doc, key, cut, drops)
     )
