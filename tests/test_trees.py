@@ -90,6 +90,39 @@ def test_decomposition(spark, kind):
     assert found[0] == found[1] == found[2]
 
 
+#: Golden turns (tree of 15 vertices, machines; stop factor 1, seed 2): component:vertices and s selected, m merged, c completed, l left.
+GOLDEN = {
+    ("heap", 1): [
+        "0:1s 1:1s 2:1s 3:1s 4:1s 5:1s 6:1s 7:1m 8:1m 9:1m 10:1m 11:1m 12:1m 13:1m 14:1m",
+        "0:1s 1:1s 2:1s 3:3m 4:3m 5:3m 6:3m",
+        "0:1s 1:7m 2:7m",
+        "0:15c",
+    ],
+    ("chain", 3): [
+        "0:1s 1:1s 2:1m 3:1m 4:1s 5:1s 6:1s 7:1m 8:1s 9:1s 10:1s 11:1s 12:1m 13:1s 14:1m",
+        "0:1s 1:3s 4:1s 5:1s 6:2s 8:1s 9:1m 10:1m 11:2s 13:2m",
+        "0:1s 1:3m 4:1s 5:1m 6:2m 8:3s 11:4m",
+        "0:4l 4:4l 8:7c",
+    ],
+}
+
+
+@pytest.mark.parametrize("kind,m", GOLDEN)
+def test_turns_of_a_small_tree(spark, kind, m):
+    from treefold.plans.decompose import trace
+
+    bt = binary_extension(generate(spark, kind, 15))
+    got = [(turn, comp >> 2, size, mark) for turn, _, comp, size, mark in trace(bt, m, seed=2, rules=Rules(stop_factor=1))]
+    turns = [[(c, n, mark) for t, c, n, mark in got if t == turn] for turn in range(1 + max(t for t, *_ in got))]
+    assert [" ".join(f"{c}:{n}{mark[0]}" for c, n, mark in turn) for turn in turns] == GOLDEN[kind, m]
+    # each turn by the rules: what the marks say leads to the next turn's components
+    for now, then in zip(turns, turns[1:]):
+        assert {c for c, *_ in then} == {c for c, _, mark in now if mark != "merged"}
+        assert sum(n for _, n, _ in now) == sum(n for _, n, _ in then) == 15
+        assert {c: mark for c, _, mark in now}[0] != "merged"
+        assert all((n >= 15 / m) == (mark == "completed") for _, n, mark in now)
+
+
 def test_coin_is_the_same_on_arrays(spark):
     from treefold.plans.decompose import coin, coins
 

@@ -366,6 +366,27 @@ def decompose(bt: DataFrame, m: int, seed: int = 0, rules: Rules = Rules(), loca
     return Decomposition(assign, comp_table, m, n, trees, metrics)
 
 
+def trace(bt: DataFrame, m: int, seed: int = 0, rules: Rules = Rules()) -> list[tuple[int, int, int, int, str]]:
+    """(turn, tree_id, comp_id, vertices, mark) of every component at the start of every turn of a small forest.
+
+    mark is 'selected', 'merged' or 'completed', after the last turn 'left': the pictures one would draw of the turns.
+    """
+    n, trees = bt.count(), bt.where("parent_id IS NULL").count()
+    limit, stop = max(1.0, n / max(1, m)), rules.stop_factor * m + trees
+    comp, done, out = initial(bt), [], []
+    for turn in range(rules.max_iterations):
+        rows = materialise(select(comp, turn, seed, rules), "traced")
+        here = rows.select("tree_id", "comp_id", "n_vertices", "selected").collect()
+        if len(here) + len(done) <= stop:
+            out += [(turn, *r[:3], "left") for r in here] + [(turn, *r, "completed") for r in done]
+            break
+        out += [(turn, *r[:3], "selected" if r[3] else "merged") for r in here] + [(turn, *r, "completed") for r in done]
+        after = materialise(contract(rows, walks(rows)[0], limit), "traced")
+        done += [tuple(r) for r in after.where("completed").select("tree_id", "comp_id", "n_vertices").collect()]
+        comp = without_completed(after, m)
+    return sorted(out)
+
+
 def assignments(bt: DataFrame, logs: list[DataFrame], last: DataFrame | None) -> DataFrame:
     """Where every vertex ends: the logs of the turns composed backwards, one join each, earlier ones larger.
 

@@ -14,37 +14,50 @@ SCALE = 1000
 BLOCK = 256
 
 
-def distance_edges(vectors: DataFrame, blocks: int) -> DataFrame:
-    """(a, b, w), a < b, of all pairs, a pair of blocks in a task: exact for metric trees of bounded tables."""
+def lightest_outgoing(vectors: DataFrame, label: DataFrame, blocks: int) -> DataFrame:
+    """(ra, to, w, a, b): the lightest edge (ties by ids) that leaves each component, a < b.
+
+    A pair of blocks of vectors meets in a task, which sends on one edge for each
+    component it holds; distances are never written, but computed again in each round.
+    """
     prepare(vectors.sparkSession)
-    rows = vectors.select(F.col("vec_id").alias("id"), "embedding").withColumn("side", F.pmod("id", F.lit(blocks)).cast("int"))
+    rows = vectors.select(F.col("vec_id").alias("id"), "embedding").join(label, "id").withColumn("side", F.pmod("id", F.lit(blocks)).cast("int"))
     pairs = F.transform(F.sequence(F.lit(0), F.lit(blocks - 1)), lambda o: F.struct(F.least(o, F.col("side")).alias("one"), F.greatest(o, F.col("side")).alias("two")))
-    dealt = rows.withColumn("p", F.explode(pairs)).select("id", "embedding", "side", "p.one", "p.two")
+    dealt = rows.withColumn("p", F.explode(pairs)).select("id", "root", "embedding", "side", "p.one", "p.two")
 
     def run(table: pa.Table) -> pa.Table:
-        ids, side = table["id"].to_numpy(), table["side"].to_numpy()
+        table = table.sort_by("id")
+        ids, roots, side = table["id"].to_numpy(), table["root"].to_numpy(), table["side"].to_numpy()
         x = np.array(table["embedding"].to_pylist(), np.float64)
-        one, two = table["one"][0].as_py(), table["two"][0].as_py()
-        left, right = (side == one), (side == two)
-        d = ((x[left][:, None, :] - x[right][None, :, :]) ** 2).sum(axis=2)
-        a, b = np.meshgrid(ids[left], ids[right], indexing="ij")
-        keep = a < b if one == two else np.ones_like(a, bool)
-        return pa.table({"a": np.minimum(a, b)[keep], "b": np.maximum(a, b)[keep], "w": np.rint(d[keep] * SCALE).astype(np.int64)})
+        left, right = np.flatnonzero(side == table["one"][0].as_py()), np.flatnonzero(side == table["two"][0].as_py())
+        found = []
+        if len(left) and len(right):
+            d = np.rint(((x[left][:, None, :] - x[right][None, :, :]) ** 2).sum(axis=2) * SCALE)
+            d[roots[left][:, None] == roots[right][None, :]] = np.inf
+            # ids rise, so of equal weights the first is the least pair of ids
+            for rows_, cols, m in ((left, right, d), (right, left, d.T)):
+                best = m.argmin(axis=1)
+                w = m[np.arange(len(rows_)), best]
+                ok = np.isfinite(w)
+                mine, other = rows_[ok], cols[best[ok]]
+                found.append(np.stack([roots[mine], roots[other], w[ok].astype(np.int64), np.minimum(ids[mine], ids[other]), np.maximum(ids[mine], ids[other])]))
+        edges = np.concatenate(found, axis=1) if found else np.zeros((5, 0), np.int64)
+        edges = edges[:, np.lexsort((edges[4], edges[3], edges[2], edges[0]))]
+        first = np.ones(edges.shape[1], bool)
+        first[1:] = edges[0, 1:] != edges[0, :-1]
+        return pa.table([pa.array(c[first]) for c in edges], ["ra", "to", "w", "a", "b"])
 
-    return dealt.groupBy("one", "two").applyInArrow(run, "a long, b long, w long")
+    sent = dealt.groupBy("one", "two").applyInArrow(run, "ra long, to long, w long, a long, b long")
+    return sent.groupBy("ra").agg(F.min(F.struct("w", "a", "b", "to")).alias("m")).select("ra", "m.to", "m.w", "m.a", "m.b")
 
 
 def spanning_tree(vectors: DataFrame, root: int = 0) -> DataFrame:
     """TREE of the minimum spanning tree (ties by ids), rooted; vertex weights 1."""
-    n = vectors.count()
-    edges = materialise(distance_edges(vectors, max(1, -(-n // BLOCK))), "distances")
+    blocks = max(1, -(-vectors.count() // BLOCK))
     label = materialise(vectors.select(F.col("vec_id").alias("id"), F.col("vec_id").alias("root")), "labels")
     chosen = None
     while label.select("root").distinct().limit(2).count() > 1:
-        both = edges.join(label.select(F.col("id").alias("a"), F.col("root").alias("ra")), "a").join(label.select(F.col("id").alias("b"), F.col("root").alias("rb")), "b").where("ra <> rb")
-        edges = materialise(both.select("a", "b", "w"), "outgoing")
-        out = both.select("ra", "rb", F.struct("w", "a", "b").alias("e")).unionAll(both.select(F.col("rb").alias("ra"), F.col("ra").alias("rb"), F.struct("w", "a", "b").alias("e")))
-        best = materialise(out.groupBy("ra").agg(F.min(F.struct(F.col("e"), F.col("rb"))).alias("m")).select(F.col("ra"), F.col("m.rb").alias("to"), "m.e.*"), "lightest")
+        best = materialise(lightest_outgoing(vectors, label, blocks), "lightest")
         new = best.select("a", "b", "w").distinct()
         chosen = materialise(new if chosen is None else chosen.unionAll(new), "chosen")
         # hooks form stars of pairs: the smaller end of each mutual pair is the new root
