@@ -19,6 +19,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .common import materialise, prepare, text_or_empty
+from .fingerprints import in_bitmap, slot_bitmap
 
 PARTITION_ROWS = 2_000_000
 SLOTS = 4
@@ -222,10 +223,14 @@ def delete_digests(entries: DataFrame, gone: DataFrame) -> DataFrame:
 def unlike_contents(docs: DataFrame, digests: Column, entries: DataFrame, text_col: str = "text") -> DataFrame:
     """Digests whose rows do not all hold the same text, from the content of all rows that share one.
 
-    Least and greatest text of a digest are found before anything moves, so copies leave a task once.
+    A bitmap of a fixed size keeps back texts whose digest surely stands alone, so
+    little but copies moves.
     """
     shared = entries.where("group_size > 1").select("digest")
-    rows = docs.select(digests.alias("digest"), text_or_empty(text_col).alias("text")).join(shared, "digest", "left_semi")
+    short = F.xxhash64("digest")
+    marks = slot_bitmap(shared.select(short.alias("h")), "shared-digests")
+    rows = docs.select(digests.alias("digest"), text_or_empty(text_col).alias("text")).withColumn("__ed_marks", marks.scalar())
+    rows = rows.where(in_bitmap(F.col("__ed_marks"), short)).drop("__ed_marks").join(shared, "digest", "left_semi")
     return rows.groupBy("digest").agg(F.min("text").alias("least"), F.max("text").alias("most")).where("least <> most").select("digest")
 
 

@@ -34,7 +34,7 @@ def distinct_terms(text: Column) -> Column:
     return F.transform(F.array_distinct(F.array_remove(F.split(F.lower(text), _NOT_TERM), "")), lambda w: F.xxhash64(w))
 
 
-def _bitmap(hashes: DataFrame, name: str) -> DataFrame:
+def slot_bitmap(hashes: DataFrame, name: str) -> DataFrame:
     """One row, one column `bits`: the slots of all hashes in column h."""
     slot = F.col("h").bitwiseAND(F.lit((1 << SLOT_BITS) - 1))
     words = (
@@ -47,7 +47,7 @@ def _bitmap(hashes: DataFrame, name: str) -> DataFrame:
     return materialise(filled.agg(F.transform(F.array_sort(F.collect_list(F.struct("at", "bits"))), lambda x: x["bits"]).alias("bits")), name)
 
 
-def _in_bitmap(bits: Column, h: Column) -> Column:
+def in_bitmap(bits: Column, h: Column) -> Column:
     word = F.get(bits, F.shiftright(h.bitwiseAND(F.lit((1 << SLOT_BITS) - 1)), 6).cast("int"))
     return F.getbit(word, h.bitwiseAND(F.lit(63)).cast("int")) == 1
 
@@ -64,11 +64,11 @@ def lexicon_bitmap(docs: DataFrame, text_col: str = "text", min_share: float = M
     copies = materialise(keyed.groupBy("h", "h_two").agg(F.count(F.lit(1)).alias("n")), "text-copies")
     total = copies.count()
     low, high = max(2, int(min_share * total)), max(2, int(max_share * total))
-    marked = keyed.withColumn("fp_copied", _bitmap(copies.where("n > 1"), "copied-texts").scalar())
-    copied = _in_bitmap(F.col("fp_copied"), F.col("h"))
+    marked = keyed.withColumn("fp_copied", slot_bitmap(copies.where("n > 1"), "copied-texts").scalar())
+    copied = in_bitmap(F.col("fp_copied"), F.col("h"))
     once = marked.where(~copied).select("text").unionAll(marked.where(copied).groupBy("h", "h_two").agg(F.first("text").alias("text")).select("text"))
     counted = once.select(F.explode(distinct_terms(F.col("text"))).alias("h")).groupBy("h").agg(F.count(F.lit(1)).alias("df"))
-    return _bitmap(counted.where(F.col("df").between(low, high)), "lexicon")
+    return slot_bitmap(counted.where(F.col("df").between(low, high)), "lexicon")
 
 
 def _short(value: Column) -> Column:
@@ -97,7 +97,7 @@ def subset_hashes(text: Column, bits: Column) -> Column:
     """65 ints: one for each lexicon subset (0: no term in it), last the whole lexicon's (all terms', then the text's, where it has none)."""
 
     def of_terms(terms, raw):
-        kept = F.filter(terms, lambda h: _in_bitmap(bits, h))
+        kept = F.filter(terms, lambda h: in_bitmap(bits, h))
 
         def of_lexicon(sorted_terms):
             whole = F.when(F.size(sorted_terms) > 0, _short(F.xxhash64(sorted_terms))).otherwise(_short(F.xxhash64(F.array_sort(terms), raw)))
