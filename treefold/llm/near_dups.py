@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import materialise, prepare, text_or_empty
+from .common import freed, materialise, prepare, text_or_empty
 
 NGRAM = 5
 THRESHOLD = 0.8
@@ -401,7 +401,7 @@ def near_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     prepare(spark)
     rules = least_matches(hashes, STEP, threshold, tolerance)
     slim = docs.select(F.col(id_col).cast("long").alias("doc_id"), text_or_empty(text_col).alias("text")).withColumn("text_key", F.xxhash64("text"))
-    signed = materialise(slim.mapInArrow(_sign(hashes), "doc_id long, text_key long, set_key binary, n_shingles long, signature binary"), "signatures")
+    signed = materialise(slim.mapInArrow(freed(_sign(hashes)), "doc_id long, text_key long, set_key binary, n_shingles long, signature binary"), "signatures")
     sets = signed.where("set_key IS NOT NULL AND doc_id IS NOT NULL")
     grouped = sets.groupBy("set_key").agg(F.min(F.struct("doc_id", "text_key")).alias("first"), F.count(F.lit(1)).alias("members"), F.first("n_shingles").alias("n_shingles"), F.first("signature").alias("signature"))
     classes = materialise(grouped.select("set_key", F.col("first.doc_id").alias("class_id"), F.col("first.doc_id").alias("first_id"), F.col("first.text_key").alias("first_key"), "members", "n_shingles", "signature"), "classes")
@@ -415,16 +415,16 @@ def near_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     full = bands.groupBy("band", "bucket").agg(F.count(F.lit(1)).alias("n")).where("n > 1").withColumn("blocks", F.ceil(F.col("n") / bucket_block)).drop("n")
     crowded = bands.join(full, ["band", "bucket"]).join(classes.select("class_id", "signature"), "class_id")
     dealt = _deal(crowded, ["band", "bucket"], "class_id", "blocks")
-    candidate_edges = materialise(dealt.mapInArrow(_bucket_edges(hashes, rules), "a long, b long"), "candidate-edges")
+    candidate_edges = materialise(dealt.mapInArrow(freed(_bucket_edges(hashes, rules)), "a long, b long"), "candidate-edges")
     groups = materialise(components(candidate_edges), "candidate-groups").withColumnRenamed("id", "class_id")
     placed = groups.join(classes, "class_id")
     sizes = placed.groupBy("root").agg(F.greatest(F.ceil(F.count(F.lit(1)) / block_classes), F.ceil(F.sum("n_shingles") / block_shingles)).alias("blocks"))
     placed = materialise(placed.join(sizes, "root").select("class_id", "first_id", "first_key", "root", "blocks", "members", "signature"), "candidates")
     wanted = F.broadcast(placed) if placed.count() <= BROADCAST_ROWS else placed
     with_text = slim.join(wanted, (F.col("doc_id") == F.col("first_id")) & (F.col("text_key") == F.col("first_key")))
-    shingled = with_text.select("class_id", "root", "blocks", "members", "signature", "text").mapInArrow(_shingle_rows, "class_id long, root long, blocks long, members long, signature binary, shingles binary")
+    shingled = with_text.select("class_id", "root", "blocks", "members", "signature", "text").mapInArrow(freed(_shingle_rows), "class_id long, root long, blocks long, members long, signature binary, shingles binary")
     verified = materialise(
-        _deal(shingled, ["root"], "class_id", "blocks").mapInArrow(_verify(hashes, threshold, rules), "class_id long, links long, partner long"), "verified"
+        _deal(shingled, ["root"], "class_id", "blocks").mapInArrow(freed(_verify(hashes, threshold, rules)), "class_id long, links long, partner long"), "verified"
     )
     links = verified.groupBy("class_id").agg(F.sum("links").alias("links"))
     final = components(verified.where("partner IS NOT NULL").select(F.col("class_id").alias("a"), F.col("partner").alias("b"))).select(F.col("id").alias("class_id"), "root")

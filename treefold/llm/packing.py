@@ -16,8 +16,8 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialise, prepare, text_or_empty
-from .tokens import crc32_ids, encoded_slices
+from .common import freed, materialise, prepare, text_or_empty
+from .tokens import crc32_ids, encoded_slices, forget_pieces
 
 CAPACITY = 2048
 GROUP_PIECES = 4096
@@ -97,6 +97,7 @@ def _cut(path: str | None, capacity: int, with_ids: bool):
                         column.append(value)
             arrays = [pa.array(r, pa.int64()) for r in rows[:6]] + ([pa.array(rows[6], pa.binary())] if with_ids else [])
             yield pa.RecordBatch.from_arrays(arrays, ["doc_id", "start", "length", "ids_crc32", "doc_tokens", SALT, "ids"][: len(arrays)])
+        forget_pieces()
 
     return run
 
@@ -106,7 +107,7 @@ def token_pieces(docs: DataFrame, tokenizer_path: str | None = None, capacity: i
     prepare(docs.sparkSession)
     text = text_or_empty(text_col)
     slim = docs.select(F.col(id_col).cast("long").alias("doc_id"), text.alias("text"), F.length(text).alias("chars"))
-    return slim.mapInArrow(_cut(tokenizer_path, capacity, with_ids), f"{PIECE}, {SALT} long" + (", ids binary" if with_ids else ""))
+    return slim.mapInArrow(freed(_cut(tokenizer_path, capacity, with_ids)), f"{PIECE}, {SALT} long" + (", ids binary" if with_ids else ""))
 
 
 def _pack_group(capacity: int):

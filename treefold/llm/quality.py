@@ -29,7 +29,7 @@ WINDOW = 2
 LEAST_COUNT = 3
 MOST_WORDS = 50_000
 HIDDEN = 32
-CACHE_WORDS = 200_000
+CACHE_WORDS = 50_000
 
 
 def _index_table(seed: int = 5) -> np.ndarray:

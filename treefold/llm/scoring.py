@@ -9,7 +9,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import prepare
+from .common import freed, prepare
 
 
 def sigmoid(x: np.ndarray) -> np.ndarray:
@@ -53,7 +53,7 @@ def score_texts(docs: DataFrame, build: Callable[[], Callable[[list[str]], np.nd
 
     from pyspark.sql.types import DoubleType, StructField, StructType
 
-    return rows.mapInArrow(run, StructType([*rows.schema.fields, StructField(score_col, DoubleType())]))
+    return rows.mapInArrow(freed(run), StructType([*rows.schema.fields, StructField(score_col, DoubleType())]))
 
 
 def predicted(score_col: str = "score"):

@@ -24,7 +24,8 @@ import pyarrow as pa
 END_ID = 1
 WORD_FILE = "word_bpe_49k.json"
 CACHE_PIECES = 300_000
-SLICE_CHARS = 4_000_000
+#: The arrays of a slice take some forty times as many bytes.
+SLICE_CHARS = 1_000_000
 _SPACE, _LETTER, _DIGIT, _OTHER = range(4)
 _BLANKS = b" \t\n\x0b\x0c\r"
 # The steps of the tokenizer that the short cut stands for.
@@ -259,6 +260,12 @@ def tokenizer(path: str | None = None) -> WordTokenizer:
     return _TOKENIZERS[key]
 
 
+def forget_pieces() -> None:
+    """Frees what the worker's tokenizers know of pieces, which a reused worker would otherwise keep."""
+    for known in _TOKENIZERS.values():
+        known.forget()
+
+
 def crc32_ids(ids: np.ndarray) -> int:
     return zlib.crc32(np.ascontiguousarray(ids, "<u4").tobytes())
 
